@@ -3,8 +3,9 @@
 Every document of a source gets the same expected number of copies, target / source size. The whole part is given outright; the
 fractional parts are paired, and words are moved at random from one document of a pair to the other until one of the two is
 integral. A move keeps the words of the pair, so a source's taken words differ from its target by less than one document.
-Groups are (source, hash bucket); each leaves one fractional document at most, and these residuals meet in a reduction tree, so a
-source that holds most rows is never gathered in one task.
+Groups are (source, hash bucket); each leaves one fractional document and the few it holds back (HELD), and these residuals meet
+in a reduction tree, so a source that holds most rows is never gathered in one task. At the root those held back take up what the
+last, large residual lacks, so that what is left over is a part of a small document.
 
 Defined results: null text has size 0; a null source is a source of its own, the last; documents of size 0 are rounded on their
 own (they add no words); repeated rows are rounded as rows of their own; an empty table gives an empty result. The draws depend on
@@ -24,6 +25,8 @@ from .common import cut_lineage, spread, words
 
 #: Rows of a leaf group and residuals of an inner node of the reduction tree.
 LEAF_ROWS, FAN_IN = 512, 32
+#: Documents that a group passes on besides its residual.
+HELD = 48
 #: Sources up to this many are broadcast to the documents; more are joined by a shuffle.
 BROADCAST_SOURCES = 100_000
 _SCHEMA = "doc_id long, row_key long, source string, size long, source_size long, target double, base int, part double, bucket int, copies int"
@@ -69,6 +72,44 @@ def settle(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> n
     return out
 
 
+def finish(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> np.ndarray:
+    """Parts, all 0 or 1, for documents in falling order of size: each is driven to one end, drawn once, by those after it.
+
+    Pairing leaves the largest document of a set fractional; the few held back for this step take up what it lacks, so that the
+    last one open is a small one.
+    """
+    out, open_, up = parts.astype(float).copy(), -1, False
+    for j in range(len(out)):
+        if not 0.0 < out[j] < 1.0:
+            continue
+        if open_ >= 0:
+            i, si, sj = open_, float(sizes[open_]), float(sizes[j])
+            lacks, has = ((1 - out[i]) * si, out[j] * sj) if up else (out[i] * si, (1 - out[j]) * sj)
+            if has < lacks:
+                out[i] += has / si * (1 if up else -1)
+                out[j] = 0.0 if up else 1.0
+                continue
+            out[i] = 1.0 if up else 0.0
+            out[j] = min(1.0, max(0.0, out[j] + lacks / sj * (-1 if up else 1)))
+            open_ = -1
+            if not 0.0 < out[j] < 1.0:
+                continue
+        open_, up = j, draw.random() < out[j]
+    if open_ >= 0:
+        out[open_] = float(out[open_] >= 0.5)
+    return out
+
+
+def held_back(sizes: np.ndarray, parts: np.ndarray) -> np.ndarray:
+    """Of documents in falling order of size, the smallest open ones that together weigh 4 times the largest, HELD at most."""
+    at = np.flatnonzero((parts > 0) & (parts < 1))
+    out = np.zeros(len(parts), dtype=bool)
+    if len(at):
+        up = at[::-1]
+        out[up[: min(HELD, 1 + int(np.searchsorted(np.cumsum(sizes[up]), 4 * sizes[at[0]])))]] = True
+    return out
+
+
 def _round_group(level: int, last: bool, seed: int):
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["size", "doc_id", "row_key"], ascending=[False, True, True], kind="stable")
@@ -78,10 +119,10 @@ def _round_group(level: int, last: bool, seed: int):
         sizes, parts = rows["size"].to_numpy(), rows["part"].to_numpy(dtype=float).copy()
         alone = (sizes == 0) & (parts > 0)
         parts[alone] = draw.random(int(alone.sum())) < parts[alone]
-        parts = settle(sizes, parts, draw)
+        held = held_back(sizes, parts)
+        parts[~held] = settle(sizes[~held], parts[~held], draw)
         if last:
-            left = (parts > 0) & (parts < 1)
-            parts[left] = draw.random(int(left.sum())) < parts[left]
+            parts = finish(sizes, parts, draw)
         done = (parts == 0) | (parts == 1)
         copies = pd.array(rows["base"].to_numpy() + np.where(done, parts, 0).astype("int64"), dtype="Int32")
         copies[~done] = pd.NA
