@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, toxicity, url_rules
+from . import mixing, packing, page_text, toxicity, url_rules
 
 
 def queries() -> dict:
-    return {"op2_url_filters": url_rules.op2_url_filters, "op3_toxicity": toxicity.op3_toxicity, "op9_mixing": mixing.op9_mixing, "op10_packing": packing.op10_packing}
+    return {"op2_url_filters": url_rules.op2_url_filters, "op3_toxicity": toxicity.op3_toxicity, "op4_page_text": page_text.op4_page_text, "op9_mixing": mixing.op9_mixing, "op10_packing": packing.op10_packing}
 
 
 def oracle_sql() -> dict[str, str]:
