@@ -28,7 +28,7 @@ from .common import cut_lineage, table
 
 TOP, SCALE, QUERY_STEP = 10, 1024, 100
 #: Queries broadcast at a time; vectors of a block; vectors left to resolve when reading may stop, as a multiple of k.
-QUERY_BLOCK, VECTOR_BLOCK, RESOLVE = 4096, 8192, 8
+QUERY_BLOCK, VECTOR_BLOCK, RESOLVE = 4096, 8192, 32
 
 
 def quantised(df: DataFrame, id_col: str = "vec_id", vector: str = "embedding", scale: int = SCALE) -> DataFrame:
@@ -40,37 +40,36 @@ def quantised(df: DataFrame, id_col: str = "vec_id", vector: str = "embedding",
 
 
 class SortedLists:
-    """The sorted lists of one block of vectors."""
+    """The sorted lists of one block of vectors. rank[i, j]: place of vector i in the rising list of dimension j."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray):
-        self.ids, self.x = ids, x
-        self.order = np.argsort(x, axis=0, kind="stable").astype(np.int32)  # rising
-        self.sorted = np.take_along_axis(x, self.order, axis=0)
+        self.ids, self.x, self.small = ids, x, x.astype(np.float32)
+        order = np.argsort(x, axis=0, kind="stable")
+        self.sorted = np.take_along_axis(x, order, axis=0)
+        self.rank = np.empty(x.shape, dtype=np.int16 if len(x) < 2**15 else np.int32)
+        np.put_along_axis(self.rank, order, np.arange(len(x), dtype=self.rank.dtype)[:, None], axis=0)
 
     def search(self, query: np.ndarray, own: int, k: int, floor: float, resolve: int = RESOLVE) -> tuple[np.ndarray, np.ndarray]:
         """(ids, scores) of all vectors that can be among the k best, given that k scores of floor or more are known elsewhere."""
-        n, dims = self.x.shape
-        used = np.flatnonzero(query)
-        if n == 0 or len(used) == 0:
-            return self.ids[self.ids != own], np.zeros(int((self.ids != own).sum()))
-        down = query[used] > 0
-        got, read = np.zeros(n), np.zeros((n, dims), dtype=np.float32)
-        worst = np.where(down, self.sorted[0, used], self.sorted[-1, used]) * query[used]
-        at, step = 0, max(64, n // 16)
+        n = len(self.x)
         others = self.ids != own
+        if n == 0 or not query.any():
+            return self.ids[others], np.zeros(int(others.sum()))
+        down = query > 0
+        place = np.where(down, n - 1 - self.rank, self.rank)  # reads before each entry is reached
+        terms = self.small * query.astype(np.float32)
+        worst = np.where(down, self.sorted[0], self.sorted[-1]) * query
+        at, step = 0, max(64, n // 8)
         while True:
-            end = min(n, at + step)
-            for j, falling in zip(used, down, strict=True):
-                rows = self.order[n - end : n - at, j] if falling else self.order[at:end, j]
-                got[rows] += self.x[rows, j] * query[j]
-                read[rows, j] = 1
-            at = end
-            ahead = np.where(down, self.sorted[n - at, used], self.sorted[at - 1, used]) * query[used]
-            seen = read[:, used]
-            upper = got + ahead.sum() - seen @ ahead
-            lower = got + worst.sum() - seen @ worst
-            best = max(floor, np.partition(lower[others], -k)[-k] if others.sum() >= k else -np.inf)
-            left = others & (upper >= best - 0.5)  # integers: half a unit covers what float sums lose
+            at = min(n, at + step)
+            ahead = np.where(down, self.sorted[n - at], self.sorted[at - 1]) * query
+            seen = (place < at).astype(np.float32)
+            got = np.einsum("ij,ij->i", seen, terms, dtype=np.float32)
+            unread = seen @ np.column_stack([ahead, worst]).astype(np.float32)
+            upper, lower = got + (ahead.sum() - unread[:, 0]), got + (worst.sum() - unread[:, 1])
+            loose = 1 + 1e-5 * np.abs([ahead, worst]).sum()  # more than what single precision loses
+            best = max(floor, np.partition(lower[others], -k)[-k] - loose if others.sum() >= k else -np.inf)
+            left = others & (upper >= best - loose)
             if at == n or left.sum() <= resolve * k:
                 rows = np.flatnonzero(left)
                 return self.ids[rows], self.x[rows] @ query
