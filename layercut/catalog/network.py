@@ -11,6 +11,7 @@ from ..operators.partition import random_parts
 from ..plans import inference
 from ..plans.sharded import Sharded, backward_sharded, forward_sharded, partials_by_part
 from ..sources.generators import init_weights, mixed_radix
+from ..session import cut_lineage
 from ..sources.tables import read_table
 from .base import H, RADIX, SEED, TRADE, TRADE_EDGES, TRADE_NEURONS, TRADE_X, TRADE_Y, P, forward_sql, query, r6, radix_sql
 
@@ -398,6 +399,7 @@ def _(spark, d):
     net, x, y = image_net(spark, "sigmoid"), images(spark, d), digits(spark, d)
     n = x.select("vec_id").distinct().count()
     new = passes.step(net, x, y, ETA, n)
+    new = new.with_weights(cut_lineage(new.weights))
     mean = lambda m, name: passes.loss_by_vector(passes.last_layer(m, x), y).agg(r6(F.avg("loss")).alias(name))
     return mean(net, "before").crossJoin(mean(new, "after"))  # one row each
 

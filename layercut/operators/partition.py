@@ -95,10 +95,10 @@ def seed_from_inputs(weights: DataFrame, parts: DataFrame, layer: int, p: int, c
     left = cap.join(placed.filter("run <= capacity").groupBy("part").agg(F.sum("n").alias("used")), "part", "left")
     slots = left.withColumn("room", F.greatest(F.lit(0), F.col("capacity") - F.coalesce("used", F.lit(0))))
     # fill the free room in part order: positions on one line of load
-    line = slots.withColumn("to", F.sum("room").over(Window.partitionBy(F.lit(0)).orderBy("part"))).withColumn("from", F.col("to") - F.col("room"))
+    line = slots.withColumn("to", F.sum("room").over(Window.partitionBy(F.lit(0)).orderBy("part"))).withColumn("from", F.col("to") - F.col("room")).withColumnRenamed("part", "free")
     at = rest.withColumn("at", F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("row")) - F.col("n"))
     dealt = at.join(F.broadcast(line), (F.col("at") >= F.col("from")) & (F.col("at") < F.col("to")), "left")
-    return fits.unionByName(dealt.select(F.col("row").alias("neuron"), F.coalesce(line["part"], (F.col("row") % p).cast("int")).alias("part")))
+    return fits.unionByName(dealt.select(F.col("row").alias("neuron"), F.coalesce("free", (F.col("row") % p).cast("int")).alias("part")))
 
 
 def seed_by_signature(weights: DataFrame, layer: int, p: int, hashes: int = 2) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.activation import activate, activate_prime, keeps_zero, loss_slope, loss_value
+from ..session import cut_lineage
 from .topology import BIAS, Network
 
 
@@ -116,7 +117,7 @@ def step(net: Network, x: DataFrame, targets: DataFrame, eta: float, batch: int
     exact: the mean of the vectors' own gradients. averaged_delta: the output deltas are averaged and one vector is sent back; the means of
     the activations and of the activation derivatives over the batch stand in for that vector's.
     """
-    acts = forward(net, x)
+    acts = cut_lineage(forward(net, x))
     if batch_rule == "averaged_delta":
         of = acts.filter(F.col("layer") == net.depth).select("vec_id", "neuron", "z", "x")
         size = F.lit(float(batch))
@@ -133,7 +134,7 @@ def step(net: Network, x: DataFrame, targets: DataFrame, eta: float, batch: int
                 s = net.layer(k).join(delta, F.col("row") == F.col("neuron")).groupBy(F.col("col").alias("neuron")).agg(F.sum(F.col("w") * F.col("delta")).alias("s"))
                 delta = s.join(before, "neuron").select("neuron", (F.col("s") * F.col("slope")).alias("delta"))
     else:
-        delta = gradients(net, x, targets, loss, outputs, acts)
+        delta = cut_lineage(gradients(net, x, targets, loss, outputs, acts))
         made = []
         for k in range(1, net.depth + 1):
             before = x if k == 1 else acts.filter(F.col("layer") == k - 1)
