@@ -73,7 +73,7 @@ def _(spark, d):
 
 @query("workload_vector_times")
 def _(spark, d):
-    return workloads.vector_times(spark, d, ps=(1, 2))
+    return workloads.vector_times(spark, d, ps=(2,), vectors=1)
 
 
 @query("workload_inference")
