@@ -166,9 +166,9 @@ def mix_documents(docs: DataFrame, seed: int = 9) -> DataFrame:
     columns = docs.columns
     keyed = docs.withColumn("mix_key", F.xxhash64(*[F.col(f"`{c}`") for c in columns]))
     copies = mix(keyed, row_key=F.col("mix_key"), seed=seed).groupBy("doc_id", "row_key").agg(F.sum("copies").alias("mix_copies")).filter("mix_copies > 0")
-    copies = copies.select(F.col("doc_id").alias("mix_id"), "row_key", "mix_copies")
+    copies = copies.select(F.col("doc_id").alias("mix_id"), F.col("row_key").alias("mix_row"), "mix_copies")
     one = keyed.dropDuplicates(["doc_id", "mix_key"])
-    out = one.join(copies, (F.col("mix_key") == F.col("row_key")) & F.col("doc_id").eqNullSafe(F.col("mix_id")))
+    out = one.join(copies, (F.col("mix_key") == F.col("mix_row")) & F.col("doc_id").eqNullSafe(F.col("mix_id")))
     return out.withColumn("mix_nth", F.explode(F.sequence(F.lit(1), F.col("mix_copies")))).select(*[F.col(f"`{c}`") for c in columns])
 
 

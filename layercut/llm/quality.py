@@ -99,7 +99,7 @@ def judge(docs: DataFrame, keep_from: float = KEEP_FROM) -> DataFrame:
     df = cut_lineage(df)
     names = [f"vote_{k}" for k in made]
     tally = [(tuple(r[k] for k in names), r["n"]) for r in df.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).collect()]  # 3 ** rules at most
-    prior, right = estimate(sorted(tally))
+    prior, right = estimate(sorted(tally) or [((0,) * len(names), 0)])
     at = F.lit(math.log(prior / (1 - prior)))
     for name, r in zip(names, right, strict=True):
         at = at + F.col(name) * F.lit(math.log(r / (1 - r)))

@@ -191,17 +191,17 @@ def _spans(df: DataFrame, at: int, rule: Rule, wanted: Column) -> DataFrame:
     """df with s<at>: structs (start, nth, kind, end) of the rule's matches."""
     none = F.array().cast("array<string>")
     text, pattern = F.col("scan_text"), F.lit(rule.pattern)
-    df = df.withColumn("hits", F.when(wanted, F.regexp_extract_all(text, pattern, F.lit(0))).otherwise(none))
-    some = F.size("hits") > 0
-    df = df.withColumn("gaps", F.when(some, F.slice(F.split(text, rule.pattern, -1), F.lit(1), F.size("hits"))).otherwise(none))
-    df = df.withColumn("checked", F.when(some, F.regexp_extract_all(text, pattern, F.lit(rule.group))).otherwise(none)) if rule.group else df.withColumn("checked", F.col("hits"))
-    df = df.withColumn("gap_n", F.transform("gaps", F.length)).withColumn("hit_n", F.transform("hits", F.length))
-    df = df.withColumn("both_n", F.zip_with("gap_n", "hit_n", lambda a, b: a + b))
-    df = df.withColumn("starts", F.when(some, _starts(F.col("both_n"), F.col("gap_n"))).otherwise(F.array().cast("array<int>")))
+    df = df.withColumn("scan_hits", F.when(wanted, F.regexp_extract_all(text, pattern, F.lit(0))).otherwise(none))
+    some = F.size("scan_hits") > 0
+    df = df.withColumn("scan_gaps", F.when(some, F.slice(F.split(text, rule.pattern, -1), F.lit(1), F.size("scan_hits"))).otherwise(none))
+    df = df.withColumn("scan_checked", F.when(some, F.regexp_extract_all(text, pattern, F.lit(rule.group))).otherwise(none)) if rule.group else df.withColumn("scan_checked", F.col("scan_hits"))
+    df = df.withColumn("scan_gap_n", F.transform("scan_gaps", F.length)).withColumn("scan_hit_n", F.transform("scan_hits", F.length))
+    df = df.withColumn("scan_both_n", F.zip_with("scan_gap_n", "scan_hit_n", lambda a, b: a + b))
+    df = df.withColumn("scan_starts", F.when(some, _starts(F.col("scan_both_n"), F.col("scan_gap_n"))).otherwise(F.array().cast("array<int>")))
     made = F.transform(
-        "starts", lambda s, i: F.struct(s.alias("start"), F.lit(at).alias("nth"), F.lit(rule.kind).alias("kind"), (s + F.get("hit_n", i)).alias("end"), F.length(F.get("checked", i)).alias("size"))
+        "scan_starts", lambda s, i: F.struct(s.alias("start"), F.lit(at).alias("nth"), F.lit(rule.kind).alias("kind"), (s + F.get("scan_hit_n", i)).alias("end"), F.length(F.get("scan_checked", i)).alias("size"))
     )
-    return df.withColumn(f"s{at}", F.filter(made, lambda x: x["size"] >= rule.least)).drop("hits", "gaps", "checked", "gap_n", "hit_n", "both_n", "starts")
+    return df.withColumn(f"scan_s{at}", F.filter(made, lambda x: x["size"] >= rule.least)).drop("scan_hits", "scan_gaps", "scan_checked", "scan_gap_n", "scan_hit_n", "scan_both_n", "scan_starts")
 
 
 def _joined(spans: Column) -> Column:
@@ -213,27 +213,28 @@ def scan(docs: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
     queries = {i: trigram_query(r.pattern) for i, r in enumerate(rules)}
     trigrams = sorted({t for q in queries.values() if q for c in q for t in c})
     source = docs.select(F.col("text").cast("string").alias("text"))
-    found = cut_lineage(candidates(build_index(source, trigrams), {i: q for i, q in queries.items() if q}, trigrams))
+    found = candidates(build_index(source, trigrams), {i: q for i, q in queries.items() if q}, trigrams)
+    found = cut_lineage(found.select(F.col("key").alias("scan_found"), F.col("wanted").alias("scan_wanted")))
     df = docs.withColumn("scan_text", F.coalesce(F.col("text").cast("string"), F.lit(""))).withColumn("scan_key", F.xxhash64(F.col("text").cast("string")))
-    df = df.join(found, F.col("scan_key") == F.col("key"), "left")
+    df = df.join(found, F.col("scan_key") == F.col("scan_found"), "left")
     for i, rule in enumerate(rules):
-        df = _spans(df, i, rule, F.lit(True) if queries[i] is None else F.coalesce(F.col("wanted").bitwiseAND(1 << i) != 0, F.lit(False)))
-    df = df.withColumn("secret_spans", F.sort_array(F.concat(*[F.col(f"s{i}") for i in range(len(rules))])))
-    return df.drop("scan_text", "scan_key", "key", "wanted", *[f"s{i}" for i in range(len(rules))])
+        df = _spans(df, i, rule, F.lit(True) if queries[i] is None else F.coalesce(F.col("scan_wanted").bitwiseAND(1 << i) != 0, F.lit(False)))
+    df = df.withColumn("secret_spans", F.sort_array(F.concat(*[F.col(f"scan_s{i}") for i in range(len(rules))])))
+    return df.drop("scan_text", "scan_key", "scan_found", "scan_wanted", *[f"scan_s{i}" for i in range(len(rules))])
 
 
 def redact(docs: DataFrame, rules: list[Rule] = RULES, mark: str = "[secret]") -> DataFrame:
     """docs with every span's characters replaced by mark; touching and overlapping spans become one mark. Other columns stay."""
-    df = scan(docs, rules).withColumn("cuts", F.aggregate(
+    df = scan(docs, rules).withColumn("scan_cuts", F.aggregate(
         "secret_spans", F.array().cast("array<struct<a:int,b:int>>"),
         lambda done, x: F.when(
             F.coalesce(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["b"] >= x["start"], F.lit(False)),
             F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["a"].alias("a"), F.greatest(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["b"], x["end"]).alias("b")))),
         ).otherwise(F.concat(done, F.array(F.struct(x["start"].alias("a"), x["end"].alias("b"))))),
     ))
-    piece = F.transform("cuts", lambda c, i: F.concat(F.substring(F.col("text"), F.coalesce(F.get("cuts", i - 1)["b"], F.lit(0)) + 1, c["a"] - F.coalesce(F.get("cuts", i - 1)["b"], F.lit(0))), F.lit(mark)))
-    last = F.element_at("cuts", -1)["b"]
-    clean = F.when(F.size("cuts") > 0, F.concat(F.array_join(piece, ""), F.substring(F.col("text"), last + 1, F.length("text")))).otherwise(F.col("text"))
+    piece = F.transform("scan_cuts", lambda c, i: F.concat(F.substring(F.col("text"), F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0)) + 1, c["a"] - F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0))), F.lit(mark)))
+    last = F.element_at("scan_cuts", -1)["b"]
+    clean = F.when(F.size("scan_cuts") > 0, F.concat(F.array_join(piece, ""), F.substring(F.col("text"), last + 1, F.length("text")))).otherwise(F.col("text"))
     return df.withColumn("text", clean).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
