@@ -3,16 +3,17 @@
 Equal sets become one record first. Each tree starts with all records; a node chooses a few coordinates of the minwise sketches by
 its own hash and sends every record to one child a chosen coordinate, named by the record's minwise token there. Similar records
 meet in a child of most nodes that both reach, and independent trees raise recall: at the default parameters two records with a
-similarity of 0.85 miss each other in all trees with a chance below 1e-6. Nodes with few records are compared exhaustively. A
-larger node is first compared with one member of its own: if all members link to it, their component is known and the node is
-done; else it branches on. What is still large after MAX_DEPTH levels is compared exhaustively in pairs of chunks, so nothing is
-capped. Sketches only rule out pairs far below the threshold (estimates below FAR); links are confirmed on the full sets.
+similarity of 0.85 miss each other in all trees with a chance below 1e-6. Nodes with few records are compared exhaustively;
+larger ones branch on, for SKETCH_LEVELS levels. What is large even then is a dense group: its members are compared with a few of its
+own, which shows most of their component; each member outside the node's largest component is then compared with all members, in
+chunks, so nothing is capped. Sketches only rule out pairs far below the threshold (estimates below FAR); links are confirmed on the
+full sets.
 
 Links leave a node as a star around the smallest member of each of its components, never as all pairs. Components grow from these
 by rounds of least labels and pointer jumps on written tables.
 
 Defined results: null, empty and word-less texts have an empty set and link to nothing; texts of one or two words are one shingle;
-repeated rows (and rows that repeat a doc_id) are copies; a null doc_id joins a component but has no name of its own; an empty
+repeated rows are copies; other texts of one doc_id are told apart by their set sizes; a null doc_id joins a component but has no name of its own; an empty
 table gives an empty result.
 """
 
@@ -33,8 +34,10 @@ from .common import cut_lineage, table
 PERCENT, SHINGLE, SKETCH, TREES, LEAF = 85, 3, 48, 8, 256
 #: Estimates below this rule a pair out: 5 standard deviations below the threshold.
 FAR = 0.58
-#: Levels that branch on sketches alone; levels at most; children that a record gets a level, 1 / threshold on average.
-SKETCH_LEVELS, MAX_DEPTH, BRANCH = 3, 24, 1.18
+#: Levels of a tree; children that a record gets a level, 1 / threshold on average; members that a large node is compared with first.
+SKETCH_LEVELS, BRANCH, HEADS = 4, 1.18, 3
+#: Ids of records in question that are broadcast (8 bytes each); more are joined by a shuffle.
+BROADCAST_IDS = 1_000_000
 _WORD = re.compile("[^\x20\x09-\x0d]+")
 _UPPER = {c: c + 32 for c in range(65, 91)}
 _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
@@ -51,14 +54,12 @@ def shingle_set(text: str | None, known: dict[str, int], size: int = SHINGLE) ->
     found = _WORD.findall((text or "").translate(_UPPER))
     if not found:
         return np.empty(0, dtype=np.uint64)
-    h = np.empty(len(found), dtype=np.uint64)
-    for i, w in enumerate(found):
-        v = known.get(w)
-        if v is None:
-            v = xxhash.xxh64_intdigest(w.encode("utf-8", "surrogatepass"))
-            if len(known) < 200_000:
-                known[w] = v
-        h[i] = v
+    if len(known) > 200_000:
+        known.clear()
+    for w in found:
+        if w not in known:
+            known[w] = xxhash.xxh64_intdigest(w.encode("utf-8", "surrogatepass"))
+    h = np.fromiter(map(known.__getitem__, found), dtype=np.uint64, count=len(found))
     size = min(size, len(h))
     mixed = np.full(len(h) - size + 1, np.uint64(len(h) if len(h) < SHINGLE else SHINGLE))
     for k in range(size):
@@ -72,10 +73,10 @@ def _multipliers(count: int = SKETCH) -> np.ndarray:
 
 def sketch(members: np.ndarray, by: np.ndarray) -> np.ndarray:
     """A minwise token for each coordinate."""
-    out = np.empty(len(by), dtype=np.uint32)
-    for k, m in enumerate(by):
-        out[k] = ((members * m) >> np.uint64(32)).astype(np.uint32).min()
-    return out.view(np.int32)
+    least = np.full(len(by), np.uint64(2**64 - 1))
+    for a in range(0, len(members), 1024):
+        np.minimum(least, (members[a : a + 1024] * by[:, None]).min(axis=1), out=least)
+    return (least >> np.uint64(32)).astype(np.uint32).view(np.int32)
 
 
 def sketches(docs: DataFrame) -> DataFrame:
@@ -98,16 +99,16 @@ def sketches(docs: DataFrame) -> DataFrame:
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """id, n, sketch and members (bytes of the sorted set) of the records in wanted (id, n, sketch), each once."""
+    """id and members (bytes of the sorted set) of the rows with an id in wanted (id). wanted is read twice: hand in a checkpoint."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known: dict[str, int] = {}
         for batch in batches:
-            yield pd.DataFrame({"id": batch["id"], "n": batch["n"], "sketch": batch["sketch"], "members": [shingle_set(t, known).tobytes() for t in batch["text"]]})
+            yield pd.DataFrame({"id": batch["id"], "members": [shingle_set(t, known).tobytes() for t in batch["text"]]})
 
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
-    made = texts.join(wanted, "id").mapInPandas(run, "id long, n long, sketch array<int>, members binary")
-    return made.filter(F.length("members") == F.col("n") * 8).dropDuplicates(["id"])
+    few = wanted.count() <= BROADCAST_IDS
+    return texts.join(F.broadcast(wanted) if few else wanted, "id").mapInPandas(run, "id long, members binary")
 
 
 class Forest:
@@ -132,44 +133,83 @@ def linked(a: np.ndarray, b: np.ndarray, percent: int = PERCENT) -> bool:
     return 100 * both >= percent * (len(a) + len(b) - both)
 
 
-def _clusters(ids: np.ndarray, n: np.ndarray, drawn: np.ndarray, far: float, percent: int) -> list[np.ndarray]:
-    """Groups of a leaf whose sketches can't rule out a link."""
+def _by_group(key: str, work, columns: list[str]):
+    """Calls work(rows of one key as arrays) in partitions sorted by key; groups may span batches."""
+
+    def groups(rows: pd.DataFrame) -> pd.DataFrame:
+        keys = rows[key].to_numpy()
+        cuts = np.flatnonzero(np.append(True, keys[1:] != keys[:-1]))
+        arrays = {c: (np.vstack(rows[c].to_list()) if c == "sketch" else rows[c].to_numpy()) for c in rows.columns if c != key}
+        made = [work({c: v[a:b] for c, v in arrays.items()}) for a, b in zip(cuts, np.append(cuts[1:], len(keys)), strict=True) if b - a > 1]
+        pairs = [np.concatenate([m[c] for m in made]) if made else np.empty(0, dtype=np.int64) for c in range(len(columns))]
+        return pd.DataFrame(dict(zip(columns, pairs, strict=True)), dtype="int64")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: pd.DataFrame | None = None
+        for batch in batches:
+            batch = batch if held is None else pd.concat([held, batch], ignore_index=True)
+            if not len(batch):
+                continue
+            other = np.flatnonzero(batch[key].to_numpy() != batch[key].iloc[-1])
+            last = int(other[-1]) + 1 if len(other) else 0
+            held = batch.iloc[last:]
+            if last:
+                yield groups(batch.iloc[:last])
+        if held is not None and len(held):
+            yield groups(held)
+
+    return run
+
+
+def _each_group(rows: DataFrame, key: str, work, columns: list[str]) -> DataFrame:
+    return rows.repartition(key).sortWithinPartitions(key, "id").mapInPandas(_by_group(key, work, columns), ", ".join(f"{c} long" for c in columns))
+
+
+def _leaf_clusters(rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """(cluster, id): groups of a leaf whose sketches can't rule out a link; equal groups of other leaves get the same name."""
+    ids, n, drawn = rows["id"], rows["n"], rows["sketch"]
     forest = Forest(len(ids))
     for i in range(len(ids) - 1):
-        near = (drawn[i + 1 :] == drawn[i]).mean(axis=1) >= far
-        near &= percent * np.maximum(n[i], n[i + 1 :]) <= 100 * np.minimum(n[i], n[i + 1 :])
+        near = (drawn[i + 1 :] == drawn[i]).mean(axis=1) >= FAR
+        near &= PERCENT * np.maximum(n[i], n[i + 1 :]) <= 100 * np.minimum(n[i], n[i + 1 :])
         for j in np.flatnonzero(near):
             forest.join(i, i + 1 + int(j))
     root = np.array([forest.find(i) for i in range(len(ids))])
-    return [np.flatnonzero(root == r) for r in np.unique(root) if (root == r).sum() > 1]
-
-
-def _leaf_clusters(rows: pd.DataFrame) -> pd.DataFrame:
-    rows = rows.sort_values("id")
-    ids = rows["id"].to_numpy()
-    found = _clusters(ids, rows["n"].to_numpy(), np.vstack(rows["sketch"].to_list()), FAR, PERCENT)
-    parts = [pd.DataFrame({"leaf": xxhash.xxh64_intdigest(ids[c].tobytes()) - 2**63, "id": ids[c]}) for c in found]
-    return pd.concat(parts) if parts else pd.DataFrame({"leaf": pd.Series(dtype="int64"), "id": pd.Series(dtype="int64")})
-
-
-def _compare(rows: pd.DataFrame) -> pd.DataFrame:
-    """Star edges of a leaf's components, confirmed on the full sets."""
-    rows = rows.sort_values("id")
-    ids, drawn = rows["id"].to_numpy(), np.vstack(rows["sketch"].to_list())
+    size = np.bincount(root, minlength=len(ids))
+    name, kept = np.empty(len(ids), dtype=np.int64), size[root] > 1
+    for r in np.flatnonzero(size > 1):
+        mine = root == r
+        name[mine] = xxhash.xxh64_intdigest(np.ascontiguousarray(ids[mine]).tobytes()) - 2**63
+    return name[kept], ids[kept]
+
+
+def _compare(rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """(a, b): star edges of a leaf's components, confirmed on the full sets. With side and label, members that ask (1) meet all members
+    of other labels than their own."""
+    ids, drawn = rows["id"], rows["sketch"]
     sets = [np.frombuffer(m, dtype=np.uint64) for m in rows["members"]]
+    named = "label" in rows
     forest = Forest(len(ids))
-    for i in range(len(ids) - 1):
-        for j in np.flatnonzero((drawn[i + 1 :] == drawn[i]).mean(axis=1) >= FAR) + i + 1:
-            if forest.find(i) != forest.find(int(j)) and linked(sets[i], sets[j]):
-                forest.join(i, int(j))
-    root = [forest.find(i) for i in range(len(ids))]
-    far = [i for i, r in enumerate(root) if r != i]
-    return pd.DataFrame({"a": ids[[root[i] for i in far]], "b": ids[far]}, dtype="int64")
+    for label in np.unique(rows["label"]) if named else ():
+        same = np.flatnonzero(rows["label"] == label)
+        for j in same[1:]:
+            forest.join(int(same[0]), int(j))
+    found: list[tuple[int, int]] = []
+    for i in np.flatnonzero(rows["side"]) if named else range(len(ids) - 1):
+        near = (drawn == drawn[i]).mean(axis=1) >= FAR
+        for j in np.flatnonzero(near) if named else np.flatnonzero(near[i + 1 :]) + i + 1:
+            if forest.find(int(i)) != forest.find(int(j)) and linked(sets[i], sets[j]):
+                forest.join(int(i), int(j))
+                found.append((int(i), int(j)))
+    if not named:
+        root = [forest.find(i) for i in range(len(ids))]
+        found = [(r, i) for i, r in enumerate(root) if r != i]
+    return np.array([min(ids[i], ids[j]) for i, j in found], dtype=np.int64), np.array([max(ids[i], ids[j]) for i, j in found], dtype=np.int64)
 
 
 def _sized(rows: DataFrame) -> DataFrame:
-    """rows (node, id) with the node's number of records and one member of its own; nodes of one record are left out."""
-    sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("held"), F.min_by("id", F.xxhash64("node", "id")).alias("head")).filter("held > 1")
+    """rows (node, id) with the node's number of records; nodes of one record are left out."""
+    sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("held")).filter("held > 1")
     return cut_lineage(rows.join(cut_lineage(sizes), "node"))
 
 
@@ -181,13 +221,33 @@ def _children(rows: DataFrame, level: int) -> DataFrame:
     return out.select(F.xxhash64("node", "at", F.get("sketch", F.col("at"))).alias("node"), "id")
 
 
-def _chunk_pairs(rows: DataFrame) -> DataFrame:
-    """Nodes that never became small, as leaves of two chunks each."""
-    half = LEAF // 2
-    rows = rows.withColumn("chunks", F.ceil(F.col("held") / half).cast("int")).withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
-    rows = rows.withColumn("other", other)
-    return rows.select(F.xxhash64("node", F.least("chunk", "other"), F.greatest("chunk", "other")).alias("leaf"), "id").distinct()
+def _stars(dense: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b): links of the members of large nodes to a few members of their own."""
+    heads = dense.groupBy("node").agg(F.array_distinct(F.array(*[F.min_by("id", F.xxhash64("node", "id", F.lit(s))) for s in range(HEADS)])).alias("heads"))
+    pairs = dense.join(cut_lineage(heads), "node").select("id", F.explode("heads").alias("head")).filter("id <> head").distinct()
+    ahead = sets.select(F.col("id").alias("head"), F.col("sketch").alias("head_sketch"), F.col("members").alias("head_members"))
+    likely = F.aggregate(F.zip_with("sketch", "head_sketch", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x) >= FAR * SKETCH
+
+    @F.pandas_udf("boolean")
+    def confirmed(x: pd.Series, y: pd.Series) -> pd.Series:
+        return pd.Series([linked(np.frombuffer(p, dtype=np.uint64), np.frombuffer(q, dtype=np.uint64)) for p, q in zip(x, y, strict=True)], dtype=bool)
+
+    met = pairs.join(sets, "id").join(ahead, "head").filter(likely).filter(confirmed("members", "head_members"))
+    return met.select(F.least("head", "id").alias("a"), F.greatest("head", "id").alias("b"))
+
+
+def _rest(dense: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b): links of members of large nodes outside the node's largest component to all members of the node, exhaustively."""
+    named = cut_lineage(dense.join(labels, "id", "left").select("node", "id", F.coalesce("label", "id").alias("label")))
+    most = named.groupBy("node", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("node").agg(F.max_by("label", "n").alias("main"), F.sum("n").alias("held"), F.max("n").alias("largest"))
+    most = cut_lineage(most.filter("held > largest"))
+    rows = cut_lineage(named.join(most, "node").withColumn("us", F.ceil((F.col("held") - F.col("largest")) / LEAF).cast("int")).withColumn("ms", F.ceil(F.col("held") / LEAF).cast("int")))
+    each = lambda count: F.explode(F.sequence(F.lit(0), F.col(count) - 1))
+    asking = rows.filter("label <> main").withColumn("u", F.pmod(F.xxhash64("id"), "us").cast("int")).withColumn("m", each("ms"))
+    asked = rows.withColumn("m", F.pmod(F.xxhash64("id"), "ms").cast("int")).withColumn("u", each("us"))
+    both = asking.withColumn("side", F.lit(1)).unionByName(asked.withColumn("side", F.lit(0)))
+    leaves = both.groupBy(F.xxhash64("node", "u", "m").alias("leaf"), "id", "label").agg(F.max("side").cast("long").alias("side"))
+    return _each_group(leaves.join(sets.select("id", "sketch", "members"), "id"), "leaf", _compare, ["a", "b"])
 
 
 def links(docs: DataFrame, records: DataFrame) -> DataFrame:
@@ -203,34 +263,17 @@ def links(docs: DataFrame, records: DataFrame) -> DataFrame:
         if level == SKETCH_LEVELS or live.isEmpty():
             break
         live = _sized(_children(live.join(records, "id"), level))
-    clustered = leaves.join(records, "id").groupBy("node").applyInPandas(_leaf_clusters, "leaf long, id long").distinct()
-    clustered, dense = cut_lineage(clustered), live.select("id", "node", "held", "head")
-    wanted = cut_lineage(clustered.select("id").unionByName(dense.select("id")).distinct().join(records, "id"))
-    sets = cut_lineage(full_sets(docs, wanted))
-    edges = clustered.join(sets, "id").groupBy("leaf").applyInPandas(_compare, "a long, b long")
-    level = SKETCH_LEVELS
-    while not dense.isEmpty():
-        dense = dense.select("node", "id", "held", "head")
-        pairs = dense.filter("id <> head").select("head", "id").distinct()
-        heads = sets.select(F.col("id").alias("head"), F.col("n").alias("head_n"), F.col("sketch").alias("head_sketch"), F.col("members").alias("head_members"))
-        likely = F.aggregate(F.zip_with("sketch", "head_sketch", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x) >= FAR * SKETCH
-
-        @F.pandas_udf("boolean")
-        def confirmed(x: pd.Series, y: pd.Series) -> pd.Series:
-            return pd.Series([linked(np.frombuffer(p, dtype=np.uint64), np.frombuffer(q, dtype=np.uint64)) for p, q in zip(x, y, strict=True)], dtype=bool)
-
-        star = cut_lineage(pairs.join(sets, "id").join(heads, "head").filter(likely).filter(confirmed("members", "head_members")).select("head", "id"))
-        edges = edges.unionByName(star.select(F.least("head", "id").alias("a"), F.greatest("head", "id").alias("b")))
-        open_ = dense.filter("id <> head").join(star, ["head", "id"], "left_anti").select("node").distinct()
-        dense = cut_lineage(dense.join(cut_lineage(open_), "node", "left_semi"))
-        if level >= MAX_DEPTH:
-            edges = edges.unionByName(_chunk_pairs(dense).join(sets, "id").groupBy("leaf").applyInPandas(_compare, "a long, b long"))
-            break
-        live = _sized(_children(dense.join(records, "id"), level))
-        small = live.filter(F.col("held") <= LEAF).select(F.col("node").alias("leaf"), "id")
-        edges = edges.unionByName(small.join(sets, "id").groupBy("leaf").applyInPandas(_compare, "a long, b long"))
-        dense, level = live.filter(F.col("held") > LEAF), level + 1
-    return cut_lineage(edges.distinct())
+    clustered = cut_lineage(_each_group(leaves.join(records, "id"), "node", _leaf_clusters, ["leaf", "id"]).distinct())
+    dense = live.select("node", "id")
+    wanted = clustered.select("id").unionByName(dense.select("id")).distinct()
+    sets = full_sets(docs, cut_lineage(wanted)).join(records, "id").filter(F.length("members") == 8 * F.col("n")).dropDuplicates(["id"])
+    sets = cut_lineage(sets)
+    edges = cut_lineage(_each_group(clustered.join(sets.select("id", "sketch", "members"), "id"), "leaf", _compare, ["a", "b"]).distinct())
+    if dense.isEmpty():
+        return edges
+    some = cut_lineage(sets.join(dense.select("id").distinct(), "id", "left_semi"))
+    edges = cut_lineage(edges.unionByName(_stars(dense, some)).distinct())
+    return cut_lineage(edges.unionByName(_rest(dense, components(edges), some)).distinct())
 
 
 def components(edges: DataFrame) -> DataFrame:
