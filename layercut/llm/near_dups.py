@@ -4,8 +4,8 @@ Equal sets become one record first. Each tree starts with all records; a node ch
 its own hash and sends every record to one child a chosen coordinate, named by the record's minwise token there. Similar records
 meet in a child of most nodes that both reach, and independent trees raise recall: at the default parameters two records with a
 similarity of 0.85 miss each other in all trees with a chance below 1e-6. Nodes with few records are compared exhaustively;
-larger ones branch on, for SKETCH_LEVELS levels. What is large even then is a dense group: its members are compared with a few of its
-own, which shows most of their component; each member outside the node's largest component is then compared with all members, in
+larger ones branch on, for SKETCH_LEVELS levels. What is large even then belongs to a dense group: nodes that share
+members are put together, and the members are compared with a few of their own, which shows most of their component; each member outside the node's largest component is then compared with all members, in
 chunks, so nothing is capped. Sketches only rule out pairs far below the threshold (estimates below FAR); links are confirmed on the
 full sets.
 
@@ -35,7 +35,7 @@ PERCENT, SHINGLE, SKETCH, TREES, LEAF = 85, 3, 48, 8, 256
 #: Estimates below this rule a pair out: 5 standard deviations below the threshold.
 FAR = 0.58
 #: Levels of a tree; children that a record gets a level, 1 / threshold on average; members that a large node is compared with first.
-SKETCH_LEVELS, BRANCH, HEADS = 4, 1.18, 3
+SKETCH_LEVELS, BRANCH, HEADS = 4, 1.18, 8
 #: Ids of records in question that are broadcast (8 bytes each); more are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
 _WORD = re.compile("[^\x20\x09-\x0d]+")
@@ -265,6 +265,9 @@ def links(docs: DataFrame, records: DataFrame) -> DataFrame:
         live = _sized(_children(live.join(records, "id"), level))
     clustered = cut_lineage(_each_group(leaves.join(records, "id"), "node", _leaf_clusters, ["leaf", "id"]).distinct())
     dense = live.select("node", "id")
+    if not dense.isEmpty():  # large nodes that share members are one group, compared once and not once a tree
+        first = cut_lineage(dense.groupBy("node").agg(F.min("id").alias("a")))
+        dense = components(dense.join(first, "node").select("a", F.col("id").alias("b")).distinct()).select(F.col("label").alias("node"), "id")
     wanted = clustered.select("id").unionByName(dense.select("id")).distinct()
     sets = full_sets(docs, cut_lineage(wanted)).join(records, "id").filter(F.length("members") == 8 * F.col("n")).dropDuplicates(["id"])
     sets = cut_lineage(sets)
