@@ -82,6 +82,17 @@ def test_propagation_against_dense(spark):
     assert np.allclose([{r["host"]: r["mass"] for r in out.collect()}.get(n, 0) for n in names], p)
 
 
+def test_unrelated_hosts_leave_verdicts(spark):
+    page = lambda i, url, html="": (i, url, html)
+    few = [page(i, f"https://bad.example.com/{'de' if i < 3 else 'x'}/{i}") for i in range(5)]
+    few += [page(10, "https://near.test/", '<a href="https://bad.example.com/x">x</a><a href="https://fine.org/x">y</a>'), page(11, "https://fine.org/fr/a", '<a href="https://seen.test/">x</a>'), page(12, "https://seen.test/")]
+    more = few + [page(100 + i, f"http://h{i}.net/x", f'<a href="http://h{i + 1}.net/">n</a>' if i % 2 else "") for i in range(400)]
+    judged = lambda rows: {r["page_id"]: (r["verdict"], round(r["trust"] or 0.0, 9), round(r["distrust"] or 0.0, 9)) for r in url_rules.filter_urls(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    alone, among = judged(few), judged(more)
+    assert {i: among[i] for i in alone} == alone
+    assert alone[4] == ("block", 0.0, 0.6) and alone[10][:2] == ("block", 0.0) and alone[12][0] == "allow" and alone[12][1] > 0
+
+
 def test_toxicity(spark, sf, none):
     docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
     scorer = toxicity.train(docs, labels)
