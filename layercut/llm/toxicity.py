@@ -2,8 +2,9 @@
 
 One model for toxic and one for ordinary text, each learned from a bounded sample of labelled documents. A word's probability is
 discounted absolutely and backs off to its stem (its first letters), whose probability comes from continuation counts: how many
-different words of the class begin so. Stems back off to shared continuation counts over all documents, labelled or not, kept in
-a fixed number of hash buckets; rare expressions unseen in both classes thus get the same probability twice. Below the word the
+different words of the class begin so. Stems back off to shared continuation counts over all documents, labelled or not, exact by
+stem in a table that grows with the vocabulary: the models take the counts of their own stems from it, and its totals. Rare
+expressions unseen in both classes thus get the same probability twice. Below the word the
 spelling given the stem is the same in both models. A document's log-likelihood ratio is normalised by length, over the whole
 text and over its windows of a few words; a logistic curve, fitted on labelled documents that neither model has seen, maps these
 to a score. A word counts once a document.
@@ -29,7 +30,7 @@ from .common import cut_lineage, table, words
 
 #: Bound of the sample: so many documents of either class teach the models and the curve.
 SAMPLE_DOCS = 3000
-#: Letters of a stem; words of the windows; hash buckets of the shared counts; what counts of 1, and of more, give to the backoff.
+#: Letters of a stem; words of the windows; hash buckets of shared counts that are handed in as an array; what counts of 1, and of more, give to the backoff.
 STEM, WINDOWS, SHARED_BUCKETS, DISCOUNTS = 4, (1, 6), 1 << 16, (1.0, 1.5)
 THRESHOLD = 0.3
 _WORD = re.compile(r"[^\W_]+")
@@ -48,14 +49,40 @@ def stem_bucket(stem: str, buckets: int) -> int:
     return zlib.crc32(stem.encode("utf-8", "replace")) % buckets
 
 
-def shared_counts(docs: DataFrame, buckets: int = SHARED_BUCKETS) -> np.ndarray:
-    """Different words by bucket of their stem, over all documents; the result has a fixed size."""
-    seen = docs.select(F.explode(word_column(F.col("text"))).alias("word"))
-    seen = seen.select((F.crc32(F.substring("word", 1, STEM).cast("binary")) % buckets).alias("bucket"), F.xxhash64("word").alias("key")).distinct()
-    out = np.zeros(buckets)
-    for row in seen.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).toLocalIterator():
-        out[row["bucket"]] = row["n"]
-    return out
+@dataclass
+class Shared:
+    """Different words of the corpus by stem, for the stems that the models hold; total: all its words and stems, and one stem for the rest."""
+
+    counts: dict[str, int]
+    total: float
+
+    def of(self, stem: str) -> float:
+        return self.counts.get(stem, 0) + 1
+
+
+class Hashed:
+    """The same from an array of counts by hash bucket."""
+
+    def __init__(self, counts: np.ndarray):
+        self.counts, self.total = counts, float(counts.sum() + len(counts))
+
+    def of(self, stem: str) -> float:
+        return self.counts[stem_bucket(stem, len(self.counts))] + 1
+
+
+def stem_table(docs: DataFrame) -> DataFrame:
+    """(stem, n): how many different words of all documents begin so."""
+    seen = docs.select(F.explode(word_column(F.col("text").cast("string"))).alias("word")).distinct()
+    return cut_lineage(seen.groupBy(F.substring("word", 1, STEM).alias("stem")).agg(F.count(F.lit(1)).alias("n")))
+
+
+def shared_counts(docs: DataFrame, counts: DataFrame) -> Shared:
+    """Exact counts for the stems of counts (word), which the sample bounds, and the exact total over all stems."""
+    stems = stem_table(docs)
+    total = stems.agg(F.sum("n").alias("words"), F.count(F.lit(1)).alias("stems")).first()
+    wanted = counts.select(F.substring("word", 1, STEM).alias("stem")).distinct()
+    found = stems.join(wanted, "stem").toArrow()
+    return Shared(dict(zip(found["stem"].to_pylist(), found["n"].to_pylist(), strict=True)), float((total["words"] or 0) + total["stems"] + 1))
 
 
 @dataclass
@@ -69,11 +96,11 @@ class Ratios(dict):
         return self.stems.get(word[:STEM], self.unseen)
 
 
-def learn(toxic: dict[str, int], ordinary: dict[str, int], shared: np.ndarray, discounts: tuple[float, float] = DISCOUNTS) -> Ratios:
+def learn(toxic: dict[str, int], ordinary: dict[str, int], shared: Shared | np.ndarray, discounts: tuple[float, float] = DISCOUNTS) -> Ratios:
     """toxic, ordinary: in how many documents of either class a word stands."""
     off = lambda n: min(n, discounts[n > 1])
-    buckets, total = len(shared), float(shared.sum() + len(shared))
-    share = lambda stem: (shared[stem_bucket(stem, buckets)] + 1) / total
+    known = Hashed(shared) if isinstance(shared, np.ndarray) else shared
+    share = lambda stem: known.of(stem) / known.total
     mass, kinds, back, stem_back = [], [], [], []
     for counts in (toxic, ordinary):
         n, by = float(sum(counts.values())), {}
@@ -90,7 +117,7 @@ def learn(toxic: dict[str, int], ordinary: dict[str, int], shared: np.ndarray, d
         out.stems[stem] = float(np.log(back[0] * stem_p(0, stem)) - np.log(back[1] * stem_p(1, stem)))
     for word in {*toxic, *ordinary}:
         stem = word[:STEM]
-        spelling = 1.0 / (shared[stem_bucket(stem, buckets)] + 1)
+        spelling = 1.0 / known.of(stem)
         p = [(counts.get(word, 0) - off(counts.get(word, 0))) / mass[c] + back[c] * stem_p(c, stem) * spelling for c, counts in enumerate((toxic, ordinary))]
         out[word] = float(np.log(p[0]) - np.log(p[1]))
     out.unseen = float(np.log(back[0] * stem_back[0]) - np.log(back[1] * stem_back[1]))
@@ -144,13 +171,13 @@ def train(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) ->
     sample = cut_lineage(taken[0].unionByName(taken[1]))  # 2 * sample_docs rows at most
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     texts = cut_lineage(texts.join(F.broadcast(sample), "doc_id").withColumn("curve", remainder(F.col("doc_id")) == 3))
-    counts = texts.filter("not curve").select("toxic", F.explode(F.array_distinct(word_column(F.col("text")))).alias("word")).groupBy("toxic", "word").agg(F.count(F.lit(1)).alias("n")).toArrow()
+    counts = cut_lineage(texts.filter("not curve").select("toxic", F.explode(F.array_distinct(word_column(F.col("text")))).alias("word")).groupBy("toxic", "word").agg(F.count(F.lit(1)).alias("n")))
     split: list[dict[str, int]] = [{}, {}]
-    for toxic, word, n in zip(*(c.to_pylist() for c in counts.columns), strict=True):
+    for toxic, word, n in zip(*(c.to_pylist() for c in counts.toArrow().columns), strict=True):
         split[toxic][word] = n
     if not split[0] or not split[1]:
         return Scorer(Ratios(), None)
-    model = learn(split[1], split[0], shared_counts(docs))
+    model = learn(split[1], split[0], shared_counts(docs, counts))
     shipped = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample
 
     def measure(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

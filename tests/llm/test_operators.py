@@ -111,6 +111,17 @@ def test_stems_carry_unseen_words():
     assert model["aaaa"] > model["bbbb"] and model["ccccnew"] > model["bbbbnew"] and model["zzzz"] == model["yyyy"]
 
 
+def test_shared_counts_are_exact(spark):
+    made = [f"{a}{b}{c}{d}{e}" for a in "abcdefghij" for b in "klmnopqrst" for c in "uvwxyzabcd" for d in "efghijklmn" for e in ("", "x", "yy")][::2]
+    made += [f"{a}{b}{c}{d}" for a in "0123456789" for b in "klmnopqrst" for c in "0123456789" for d in "абвгдежзик"]
+    docs = spark.createDataFrame([(i, " ".join(made[i::50])) for i in range(50)] + [(99, made[0]), (100, None)], "doc_id long, text string")
+    want = Counter(w[: toxicity.STEM] for w in made)
+    sample = spark.createDataFrame([(w,) for w in [*made[::7], "notthere"]], "word string")
+    got = toxicity.shared_counts(docs, sample)
+    assert got.counts == {w[: toxicity.STEM]: want[w[: toxicity.STEM]] for w in made[::7]}
+    assert got.total == len(made) + len(want) + 1 and got.of("notthere") == 1
+
+
 def test_page_text(spark):
     field = page_text.train(list(page_text.labelled_pages(300)))
     wrong = total = 0
