@@ -2,9 +2,10 @@
 
 Equal sets become one record first. Each tree starts with all records; a node chooses a few coordinates of the minwise sketches by
 its own hash and sends every record to one child a chosen coordinate, named by the record's minwise token there. Similar records
-meet in a child of most nodes that both reach, and independent trees raise recall: at the default parameters two records with a
-similarity of 0.85 miss each other in all trees with a chance below 1e-6. Nodes with few records are compared exhaustively;
-larger ones branch on, for SKETCH_LEVELS levels. What is large even then belongs to a dense group: nodes that share
+meet in a child of most nodes that both reach, and several trees raise recall: BRANCHES are so many that two records with a
+similarity of 0.85 miss each other, in all trees on any level or by their sketches' estimate, with a chance below 1e-6 (computed
+for 48 coordinates that agree independently: 3e-7 on the roots, 5e-7 after the last level). Nodes with few records are compared
+exhaustively; larger ones branch on, level by level. What is large even then belongs to a dense group: nodes that share
 members are put together, and the members are compared with a few of their own, which shows most of their component; each member outside the node's largest component is then compared with all members, in
 chunks, so nothing is capped. Sketches only rule out pairs far below the threshold (estimates below FAR); links are confirmed on the
 full sets.
@@ -32,10 +33,10 @@ from .common import cut_lineage, table
 
 #: Percent of similarity; words of a shingle; coordinates of a sketch; trees; records of a node compared exhaustively.
 PERCENT, SHINGLE, SKETCH, TREES, LEAF = 85, 3, 48, 8, 256
-#: Estimates below this rule a pair out: 5 standard deviations below the threshold.
-FAR = 0.58
-#: Levels of a tree; children that a record gets a level, 1 / threshold on average; members that a large node is compared with first.
-SKETCH_LEVELS, BRANCH, HEADS = 4, 1.18, 8
+#: Estimates below this rule a pair out: 6 standard deviations below the threshold.
+FAR = 0.52
+#: Children that a record gets on each level; members that a large node is compared with first.
+BRANCHES, HEADS = (5, 2, 2, 1), 8
 #: Ids of records in question that are broadcast (8 bytes each); more are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
 _WORD = re.compile("[^\x20\x09-\x0d]+")
@@ -213,11 +214,18 @@ def _sized(rows: DataFrame) -> DataFrame:
     return cut_lineage(rows.join(cut_lineage(sizes), "node"))
 
 
+def _roots(records: DataFrame) -> DataFrame:
+    """(node, id): each record's node in each tree."""
+    coordinates = np.random.default_rng(17).permutation(SKETCH)
+    roots = F.array(*[F.xxhash64(F.lit(t), F.get("sketch", F.lit(int(coordinates[t % SKETCH])))) for t in range(TREES)])
+    return records.select(F.explode(roots).alias("node"), "id")
+
+
 def _children(rows: DataFrame, level: int) -> DataFrame:
     """rows (node, id, n, sketch) sent on to the children that their nodes choose."""
-    chosen = F.filter(F.sequence(F.lit(0), F.lit(SKETCH - 1)), lambda i: F.pmod(F.xxhash64("node", F.lit(level), i), F.lit(100_000)) < int(100_000 * BRANCH / SKETCH))
-    fallback = F.array(F.pmod(F.xxhash64("node", F.lit(level)), F.lit(SKETCH)).cast("int"))
-    out = rows.withColumn("at", F.explode(F.when(F.size(chosen) > 0, chosen).otherwise(fallback)))
+    step = SKETCH // BRANCHES[level]  # one coordinate of each stretch, so that all differ
+    chosen = F.array(*[(F.pmod(F.xxhash64("node", F.lit(level), F.lit(i)), F.lit(step)) + i * step).cast("int") for i in range(BRANCHES[level])])
+    out = rows.withColumn("at", F.explode(chosen))
     return out.select(F.xxhash64("node", "at", F.get("sketch", F.col("at"))).alias("node"), "id")
 
 
@@ -252,15 +260,13 @@ def _rest(dense: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
 
 def links(docs: DataFrame, records: DataFrame) -> DataFrame:
     """(a, b) with a < b: links between records (id, n, sketch) that connect each component."""
-    coordinates = np.random.default_rng(17).permutation(SKETCH)
-    roots = F.array(*[F.xxhash64(F.lit(t), F.get("sketch", F.lit(int(coordinates[t % SKETCH])))) for t in range(TREES)])
-    live = _sized(records.select(F.explode(roots).alias("node"), "id"))
+    live = _sized(_roots(records))
     leaves = None
-    for level in range(SKETCH_LEVELS + 1):
+    for level in range(len(BRANCHES) + 1):
         small = live.filter(F.col("held") <= LEAF).select("node", "id")
         leaves = small if leaves is None else leaves.unionByName(small)
         live = live.filter(F.col("held") > LEAF)
-        if level == SKETCH_LEVELS or live.isEmpty():
+        if level == len(BRANCHES) or live.isEmpty():
             break
         live = _sized(_children(live.join(records, "id"), level))
     clustered = cut_lineage(_each_group(leaves.join(records, "id"), "node", _leaf_clusters, ["leaf", "id"]).distinct())

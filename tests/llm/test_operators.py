@@ -179,6 +179,20 @@ def test_near_duplicates(spark, monkeypatch, leaf):
     assert {i: v for i, v in got.items() if i is not None} == components(rows)
 
 
+def test_pairs_meet_on_every_level(spark):
+    """All nodes branch to the last level, as if none had few records: pairs of similarity 0.85 still meet. The estimate keeps them too."""
+    rng, n = np.random.default_rng(9), 4000
+    left = rng.integers(0, 1 << 30, (n, near_dups.SKETCH))
+    right = np.where(rng.random(left.shape) < 0.85, left, -1 - left)
+    both = [(2 * k + side, x.tolist()) for k in range(n) for side, x in enumerate((left[k], right[k]))]
+    records = spark.createDataFrame(both, "id long, sketch array<int>").localCheckpoint()
+    rows = near_dups._roots(records)
+    for level in range(getattr(near_dups, "SKETCH_LEVELS", None) or len(near_dups.BRANCHES)):
+        rows = near_dups._children(rows.join(records, "id"), level).distinct().localCheckpoint()
+    met = rows.selectExpr("node", "id div 2 as pair").groupBy("node", "pair").count().filter("count > 1")
+    assert met.select("pair").distinct().count() == n and ((left == right).mean(axis=1) >= near_dups.FAR).all()
+
+
 def test_near_duplicates_odd(odd, none):
     assert near_dups.near_duplicates(none).count() == 0
     kept = near_dups.keep_one_of_each(odd)
