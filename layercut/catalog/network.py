@@ -9,7 +9,7 @@ from ..functions.hashing import portable_hash
 from ..operators import encode, passes, topology
 from ..operators.partition import random_parts
 from ..plans import inference
-from ..plans.sharded import Sharded, backward_sharded, forward_sharded, partials_by_part
+from ..plans.sharded import Sharded, all_links, backward_sharded, forward_sharded, partials_by_part
 from ..sources.generators import init_weights, mixed_radix
 from ..session import cut_lineage
 from ..sources.tables import read_table
@@ -377,7 +377,7 @@ def _(spark, d):
 def _(spark, d):
     net, x = image_net(spark, "sigmoid"), images(spark, d)
     sh = Sharded.of(net, random_parts(net.neurons, P, SEED), P)
-    _, weights = backward_sharded(sh, x, digits(spark, d), x.select("vec_id").distinct(), ETA)
+    weights = all_links(backward_sharded(sh, x, digits(spark, d), x.select("vec_id").distinct(), ETA)[1])
     return weights.select("layer", "row", "col", r6("w").alias("w"))
 
 

@@ -30,3 +30,17 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_CHECKPOINT_DIR)
     return df.checkpoint(eager=True)
+
+
+def cut_placed(df: DataFrame) -> DataFrame:
+    """cut_lineage() that keeps how df is partitioned, so that later joins on the placement add no exchange.
+
+    The plan is made without adaptive execution, which may coalesce partitions and thus reports none; the setting is put back.
+    """
+    conf, name = df.sparkSession.conf, "spark.sql.adaptive.enabled"
+    before = conf.get(name)
+    conf.set(name, "false")
+    try:
+        return cut_lineage(df)
+    finally:
+        conf.set(name, before)
