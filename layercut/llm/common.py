@@ -7,7 +7,12 @@ from pyspark.sql import functions as F
 
 from ..session import cut_lineage
 
-__all__ = ["WHITE", "cut_lineage", "lower_ascii", "spread", "squash_white", "table", "words"]
+__all__ = ["HOT_SHARE", "WHITE", "cut_lineage", "join_spread", "lower_ascii", "small_or_shuffled", "spread", "squash_white", "table", "words"]
+
+#: Rows of a few numbers each that are broadcast; more are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
+#: Keys of more than this share of all rows are joined by a broadcast: there are at most 1 / HOT_SHARE of them.
+HOT_SHARE = 0.001
 
 # The six white-space characters that part words (0x20, 0x09 to 0x0D).
 WHITE = "\t\n\x0b\x0c\r"
@@ -38,3 +43,16 @@ def lower_ascii(text: Column) -> Column:
 def spread(rows: int, per_bucket: int) -> int:
     """Number of buckets that hold about per_bucket rows each."""
     return max(1, -(-rows // per_bucket))
+
+
+def small_or_shuffled(rows: DataFrame) -> DataFrame:
+    """rows (a checkpoint), to be broadcast where they are at most BROADCAST_ROWS."""
+    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
+
+
+def join_spread(rows: DataFrame, side: DataFrame, keys: list[str], copies: str, total: int) -> DataFrame:
+    """rows left-joined with side (a checkpoint with one row a key). copies: how many of the total rows have the key; keys of many rows
+    are broadcast, so that none gathers in one task."""
+    hot = F.broadcast(side.filter(F.col(copies) > F.lit(HOT_SHARE * total)))
+    rest = side.filter(F.col(copies) <= F.lit(HOT_SHARE * total)).hint("merge")
+    return rows.join(hot, keys).unionByName(rows.join(hot, keys, "left_anti").join(rest, keys, "left"))

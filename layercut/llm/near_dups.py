@@ -1,324 +1,572 @@
 """Operator 5: near-duplicates by a chosen-path set similarity join.
 
-Equal sets become one record first. Each tree starts with all records; a node chooses a few coordinates of the minwise sketches by
-its own hash and sends every record to one child a chosen coordinate, named by the record's minwise token there. Similar records
-meet in a child of most nodes that both reach, and several trees raise recall: BRANCHES are so many that two records with a
-similarity of 0.85 miss each other, in all trees on any level or by their sketches' estimate, with a chance below 1e-6 (computed
-for 48 coordinates that agree independently: 3e-7 on the roots, 5e-7 after the last level). Nodes with few records are compared
-exhaustively; larger ones branch on, level by level. What is large even then belongs to a dense group: nodes that share
-members are put together, and the members are compared with a few of their own, which shows most of their component; each member outside the node's largest component is then compared with all members, in
-chunks, so nothing is capped. Sketches only rule out pairs far below the threshold (estimates below FAR); links are confirmed on the
-full sets.
-
-Links leave a node as a star around the smallest member of each of its components, never as all pairs. Components grow from these
-by rounds of least labels and pointer jumps on written tables.
+Equal sets become one record first. Each tree deals all records to nodes by one minwise token. A node with more than LEAF records
+first takes out its central records, which agree with the node's others on DENSE of their coordinates on average: these are compared
+with all of the node that is not in their group yet. The others go to one child for each of a few coordinates that the node's name
+chooses, by their token there. Small nodes are compared exhaustively, and TREES independent trees raise recall: two records of
+similarity 0.85 part in every tree with a chance below 1e-6 however deep the trees go (0.85 * (1 - 0.15^5) * (1 - 0.15^3)^5 is
+the chance to meet in one).
+
+Whole trees of a node run in one task up to NODE records. Larger nodes are dealt out: their central records in chunks that all hold the
+node's HEADS, then those outside the largest group against all others, chunk by chunk; the rest branches on in Spark. Nothing is
+capped, and nodes take the same children on either path.
+
+Nodes compare sketches only, which rules out pairs far below the threshold (estimates below FAR). What remains connected is one
+candidate group, and as candidate groups share no records, each full set is read and moved once; a group's links are then exact.
+Inside a group a member meets only those that it is not connected with yet, through the postings of its rarest shingles where that is less work.
 
 Defined results: null, empty and word-less texts have an empty set and link to nothing; texts of one or two words are one shingle;
-repeated rows are copies; other texts of one doc_id are told apart by their set sizes; a null doc_id joins a component but has no name of its own; an empty
-table gives an empty result.
+repeated rows are copies; rows that repeat a doc_id with another text are records of their own; rows without an id link like all others, take
+the name of their component (null if it has none) and are never `kept`; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut_lineage, table
+from .common import HOT_SHARE, cut_lineage, join_spread, small_or_shuffled, table
+from .rolling import KEPT, span_hashes, stir
 
 #: Percent of similarity; words of a shingle; coordinates of a sketch; trees; records of a node compared exhaustively.
-PERCENT, SHINGLE, SKETCH, TREES, LEAF = 85, 3, 48, 8, 256
+PERCENT, SHINGLE, SKETCH, TREES, LEAF = 85, 3, 64, 8, 256
 #: Estimates below this rule a pair out: 6 standard deviations below the threshold.
-FAR = 0.52
-#: Children that a record gets on each level; members that a large node is compared with first.
-BRANCHES, HEADS = (5, 2, 2, 1), 8
-#: Ids of records in question that are broadcast (8 bytes each); more are joined by a shuffle.
-BROADCAST_IDS = 1_000_000
-_WORD = re.compile("[^\x20\x09-\x0d]+")
-_UPPER = {c: c + 32 for c in range(65, 91)}
+FAR = 0.58
+#: Children that a record gets on the first and on later levels; levels; average agreement of central records.
+FIRST, NEXT, DEPTH, DENSE = 5, 3, 6, 0.5
+#: Records of a node, and shingles of a candidate group, that one task takes; members that all chunks of a larger one hold.
+NODE, GROUP_SHINGLES, HEADS = 8192, 1 << 19, 8
+#: Texts hashed at a time; edges of an id from which on it counts as a hub (and more than HOT_SHARE of all edges).
+TEXTS, HUB = 256, 1000
+_LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 
 
-def _stir(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
+_WHITE = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
+
+
+def word_hashes(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, start) of the words of buf, """
+    word = np.append(~_WHITE[buf], False)
+    edge = np.flatnonzero(word != np.append(False, word[:-1]))
+    start, stop = edge[::2], edge[1::2]
+    return span_hashes(buf, start, stop), start
+
 
+def shingle_sets(texts: list[str | None], size: int = SHINGLE) -> list[np.ndarray]:
+    """Sorted distinct 64-bit shingle hashes of each text."""
+    raw = [(t or "").encode("utf-8", "surrogatepass").translate(_LOWER) for t in texts]
+    out: list[np.ndarray] = []
+    a = 0
+    while a < len(raw):
+        b, held = a + 1, len(raw[a]) + 1
+        while b < len(raw) and held + len(raw[b]) < KEPT - 1:
+            b, held = b + 1, held + len(raw[b]) + 1
+        h, start = word_hashes(np.frombuffer(b" ".join(raw[a:b]), dtype=np.uint8))
+        begin = np.append(0, np.cumsum([len(r) + 1 for r in raw[a:b]]))
+        cut = np.searchsorted(start, begin)  # words before each text
+        n = np.zeros(len(h), dtype=np.uint64)
+        full = np.diff(cut)
+        n[:] = np.repeat(np.minimum(full, size), full)
+        mixed = np.zeros(len(h), dtype=np.uint64)
+        for k in range(min(size, len(h))):
+            stirred = stir(mixed[: len(h) - k] * _MIX[2] + h[k:] * _MIX[k % 2] + np.uint64(k + 1))
+            mixed[: len(h) - k] = np.where(n[: len(h) - k] > k, stirred, mixed[: len(h) - k])
+        mixed += n
+        out += [np.unique(mixed[i : max(i, j - min(size, j - i) + 1)]) if j > i else np.empty(0, dtype=np.uint64) for i, j in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
+        a = b
+    return out
 
-def shingle_set(text: str | None, known: dict[str, int], size: int = SHINGLE) -> np.ndarray:
-    """Sorted distinct 64-bit shingle hashes. known caches hashes of words."""
-    found = _WORD.findall((text or "").translate(_UPPER))
-    if not found:
-        return np.empty(0, dtype=np.uint64)
-    if len(known) > 200_000:
-        known.clear()
-    for w in found:
-        if w not in known:
-            known[w] = xxhash.xxh64_intdigest(w.encode("utf-8", "surrogatepass"))
-    h = np.fromiter(map(known.__getitem__, found), dtype=np.uint64, count=len(found))
-    size = min(size, len(h))
-    mixed = np.full(len(h) - size + 1, np.uint64(len(h) if len(h) < SHINGLE else SHINGLE))
-    for k in range(size):
-        mixed = _stir(mixed * _MIX[2] + h[k : len(h) - size + 1 + k] * _MIX[k % 2] + np.uint64(k + 1))
-    return np.unique(mixed)
+
+def _sets_of(texts: pd.Series) -> Iterator[np.ndarray]:
+    for a in range(0, len(texts), TEXTS):
+        yield from shingle_sets(texts.iloc[a : a + TEXTS].tolist())
 
 
 def _multipliers(count: int = SKETCH) -> np.ndarray:
     return np.random.default_rng(5).integers(1, 2**63, size=count, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def sketch(members: np.ndarray, by: np.ndarray) -> np.ndarray:
+def minwise_tokens(members: np.ndarray, by: np.ndarray) -> np.ndarray:
     """A minwise token for each coordinate."""
     least = np.full(len(by), np.uint64(2**64 - 1))
     for a in range(0, len(members), 1024):
         np.minimum(least, (members[a : a + 1024] * by[:, None]).min(axis=1), out=least)
-    return (least >> np.uint64(32)).astype(np.uint32).view(np.int32)
+    return stir(least)
+
+
+def root_nodes(tokens: np.ndarray) -> np.ndarray:
+    """The record's node in each tree, named by the tree and the token of the tree's own coordinate."""
+    trees = np.arange(TREES, dtype=np.uint64)
+    return stir(tokens[:: SKETCH // TREES][:TREES] + trees * _MIX[0]).view(np.int64)
+
+
+def children(node: np.ndarray, level: int, drawn: np.ndarray) -> np.ndarray:
+    """Names of the children of node that each record goes to, a row each; drawn: the records' sketches, node: a name each (or one)."""
+    count = FIRST if level == 0 else NEXT
+    stretch = SKETCH // count  # one coordinate of each stretch, so that all differ
+    name = np.broadcast_to(node, len(drawn)).astype(np.int64).view(np.uint64)
+    out = np.empty((len(drawn), count), dtype=np.int64)
+    for j in range(count):
+        at = (stir(name + np.uint64((7 * level + j + 1) * int(_MIX[1]) % 2**64)) % np.uint64(stretch)).astype(np.int64) + j * stretch
+        value = drawn[np.arange(len(drawn)), at].astype(np.uint64)
+        out[:, j] = stir(name * _MIX[2] + (at.astype(np.uint64) << np.uint64(8)) + value + np.uint64(1)).view(np.int64)
+    return out
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, k1, k2 (fingerprint of the set) and sketch of every row."""
+    """doc_id, t (hash of the text), n_shingles, k1, k2 (fingerprint of the set), roots and drawn (sketch) of every row."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        by, known = _multipliers(), {}
+        by = _multipliers()
         for batch in batches:
             rows = []
-            for doc_id, text in zip(batch["doc_id"], batch["text"], strict=True):
-                s = shingle_set(text, known)
-                key = xxhash.xxh3_128_digest(s.tobytes())
-                k1, k2 = np.frombuffer(key, dtype=np.int64)
-                rows.append((doc_id, len(s), int(k1), int(k2), sketch(s, by) if len(s) else None))
-            out = pd.DataFrame(rows, columns=["doc_id", "n_shingles", "k1", "k2", "sketch"])
-            out["doc_id"] = out["doc_id"].astype("Int64")
-            yield out
+            for s in _sets_of(batch["text"]):
+                k1, k2 = np.frombuffer(xxhash.xxh3_128_digest(s.tobytes()), dtype=np.int64)
+                tokens = minwise_tokens(s, by) if len(s) else None
+                rows.append((len(s), int(k1), int(k2), root_nodes(tokens) if len(s) else None, (tokens & np.uint64(255)).astype(np.uint8).tobytes() if len(s) else None))
+            made = pd.DataFrame(rows, columns=["n_shingles", "k1", "k2", "roots", "drawn"])
+            yield pd.concat([batch[["doc_id", "t"]].astype({"doc_id": "Int64"}).reset_index(drop=True), made], axis=1)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, n_shingles long, k1 long, k2 long, sketch array<int>")
+    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return named.withColumn("t", F.xxhash64("text")).mapInPandas(run, "doc_id long, t long, n_shingles long, k1 long, k2 long, roots array<long>, drawn binary")
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """id and members (bytes of the sorted set) of the rows with an id in wanted (id). wanted is read twice: hand in a checkpoint."""
+    """rec, grp, n and members (bytes of the sorted set) of wanted (rec, grp, t, id, k1, k2). wanted is read twice: hand in a checkpoint."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        known: dict[str, int] = {}
         for batch in batches:
-            yield pd.DataFrame({"id": batch["id"], "members": [shingle_set(t, known).tobytes() for t in batch["text"]]})
+            for a in range(0, len(batch), TEXTS):
+                part = batch.iloc[a : a + TEXTS]
+                sets = shingle_sets(part["text"].tolist())
+                out = pd.DataFrame({"rec": part["rec"].to_numpy(), "grp": part["grp"].to_numpy(), "n": [len(s) for s in sets], "members": [s.tobytes() for s in sets]})
+                keys = [np.frombuffer(xxhash.xxh3_128_digest(m), dtype=np.int64) for m in out["members"]]
+                yield out[[k[0] == x and k[1] == y for k, x, y in zip(keys, part["k1"], part["k2"], strict=True)]]
 
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
-    few = wanted.count() <= BROADCAST_IDS
-    return texts.join(F.broadcast(wanted) if few else wanted, "id").mapInPandas(run, "id long, members binary")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("at", F.xxhash64("text"))
+    asked = small_or_shuffled(wanted)
+    here = (F.col("at") == F.col("t")) & F.col("doc_id").eqNullSafe(F.col("id"))
+    return texts.join(asked, here).select("rec", "grp", "k1", "k2", "text").mapInPandas(run, "rec long, grp long, n long, members binary")
 
 
 class Forest:
     def __init__(self, n: int):
-        self.up = list(range(n))
+        self.up = np.arange(n)
 
     def find(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = self.up[self.up[i]]
-            i = self.up[i]
-        return i
+        up = self.up
+        while up[i] != i:
+            up[i] = up[up[i]]
+            i = up[i]
+        return int(i)
 
     def join(self, i: int, j: int) -> None:
         i, j = self.find(i), self.find(j)
         self.up[max(i, j)] = min(i, j)
 
-
-def linked(a: np.ndarray, b: np.ndarray, percent: int = PERCENT) -> bool:
-    if percent * max(len(a), len(b)) > 100 * min(len(a), len(b)):
-        return False
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return 100 * both >= percent * (len(a) + len(b) - both)
-
-
-def _by_group(key: str, work, columns: list[str]):
-    """Calls work(rows of one key as arrays) in partitions sorted by key; groups may span batches."""
+    def roots(self) -> np.ndarray:
+        up = self.up
+        while not (up[up] == up).all():
+            up = up[up]
+        self.up = up
+        return up
+
+
+class Sketches:
+    """Compares records by their sketches: near() never rejects a linked pair but with a chance of some 1e-9."""
+
+    def __init__(self, rows: dict[str, np.ndarray]):
+        self.n, self.drawn = rows["n"].astype(np.int64), np.frombuffer(b"".join(rows["drawn"]), dtype=np.uint8).reshape(-1, SKETCH)
+        self.held: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None
+
+    def __len__(self) -> int:
+        return len(self.n)
+
+    def near(self, i: int, others: np.ndarray) -> np.ndarray:
+        if self.held is None or self.held[0] is not others:
+            self.held = others, self.n[others], self.drawn[others]
+        _, n, drawn = self.held
+        sized = PERCENT * np.maximum(self.n[i], n) <= 100 * np.minimum(self.n[i], n)
+        return sized & ((drawn == self.drawn[i]).sum(axis=1) >= FAR * SKETCH)
+
+
+class Sets:
+    """Compares records by their full sets."""
+
+    def __init__(self, rows: dict[str, np.ndarray]):
+        sets = [np.frombuffer(m, dtype=np.uint64) for m in rows["members"]]
+        self.n = np.array([len(s) for s in sets], dtype=np.int64)
+        kinds, words = np.unique(np.concatenate(sets), return_inverse=True)
+        self.words = words.astype(np.int32)
+        del words
+        self.ends = np.cumsum(self.n)
+        self.mark = np.zeros(len(kinds), dtype=np.int32)
+        self.held: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None
+        # Two linked sets share one of their (n - ceil(0.85 n) + 1) rarest shingles, in one order of all shingles.
+        often = np.bincount(self.words, minlength=len(kinds))
+        place = np.argsort(np.argsort(often, kind="stable"), kind="stable")
+        self.rarest = []
+        for i in range(len(sets)):
+            mine = self._words(i)
+            self.rarest.append(mine[np.argsort(place[mine])[: len(mine) - -(-PERCENT * len(mine) // 100) + 1]])
+        entries = np.concatenate(self.rarest)
+        owner = np.repeat(np.arange(len(sets)), [len(r) for r in self.rarest])
+        order = np.argsort(entries, kind="stable")
+        self.posted = owner[order].astype(np.int32)
+        self.first = np.searchsorted(entries[order], np.arange(len(kinds) + 1))
+
+    def __len__(self) -> int:
+        return len(self.n)
+
+    def _words(self, i: int) -> np.ndarray:
+        return self.words[self.ends[i] - self.n[i] : self.ends[i]]
+
+    def _gather(self, others: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n = self.n[others]
+        begin = np.cumsum(n) - n
+        return self.words[np.repeat(self.ends[others] - n - begin, n) + np.arange(n.sum())], begin
+
+    def near(self, i: int, others: np.ndarray) -> np.ndarray:
+        if self.held is None or self.held[0] is not others:
+            self.held = others, *self._gather(others)
+        _, words, begin = self.held
+        mine, rarest = self._words(i), self.rarest[i]
+        some = None
+        if 8 * (self.first[rarest + 1] - self.first[rarest]).sum() < len(words):
+            met = np.zeros(len(self.n), dtype=bool)
+            met[np.concatenate([self.posted[self.first[w] : self.first[w + 1]] for w in rarest])] = True
+            some = np.flatnonzero(met[others])
+            if not len(some):
+                return np.zeros(len(others), dtype=bool)
+            words, begin = self._gather(others[some])
+        self.mark[mine] = 1
+        both = np.add.reduceat(self.mark[words], begin)
+        self.mark[mine] = 0
+        n = self.n[others if some is None else others[some]]
+        hit = 100 * both >= PERCENT * (self.n[i] + n - both)
+        if some is None:
+            return hit
+        out = np.zeros(len(others), dtype=bool)
+        out[some[hit]] = True
+        return out
+
+
+def connect(rows: Sketches | Sets, forest: Forest, members: np.ndarray) -> None:
+    """Joins near members; each is compared with those only that are in no group found so far."""
+    left = members
+    while len(left) > 1:
+        queue, left = [int(left[0])], left[1:]
+        while queue and len(left):
+            i = queue.pop()
+            hit = rows.near(i, left)
+            if hit.any():
+                new, left = left[hit], left[~hit]
+                for j in new.tolist():
+                    forest.join(i, j)
+                queue += new.tolist()
+
+
+def ask(rows: Sketches | Sets, forest: Forest, asking: np.ndarray, members: np.ndarray) -> None:
+    """Compares each of asking with all members outside its group."""
+    for i in asking.tolist():
+        others = members[forest.roots()[members] != forest.find(i)]
+        if len(others):
+            for j in others[rows.near(i, others)].tolist():
+                forest.join(i, j)
+
+
+def grow_tree(node: int, level: int, rows: Sketches, forest: Forest, leaf: int) -> None:
+    """All of the tree below a node, in this task."""
+    work = [(node, level, np.arange(len(rows)))]
+    while work:
+        node, level, idx = work.pop()
+        if len(idx) > leaf and level < DEPTH:
+            drawn = rows.drawn[idx]
+            flat = drawn.astype(np.int64) + 256 * np.arange(SKETCH)
+            central = np.bincount(flat.ravel(), minlength=256 * SKETCH)[flat].mean(axis=1) >= DENSE * len(idx)
+            if central.any():
+                connect(rows, forest, idx[central])
+                ask(rows, forest, idx[~central], idx[central])
+                idx, drawn = idx[~central], drawn[~central]
+        if len(idx) <= leaf or level >= DEPTH:
+            connect(rows, forest, idx)
+            continue
+        names = children(np.int64(node), level, drawn)
+        for column in names.T:
+            order = np.argsort(column, kind="stable")
+            cuts = np.flatnonzero(np.append(True, column[order][1:] != column[order][:-1]))
+            work += [(int(column[part[0]]), level + 1, idx[part]) for part in np.split(order, cuts[1:]) if len(part) > 1]
+
+
+def _stars(recs: np.ndarray, forest: Forest) -> tuple[np.ndarray, np.ndarray]:
+    root = forest.roots()
+    leaf = np.flatnonzero(root != np.arange(len(root)))
+    a, b = recs[root[leaf]], recs[leaf]
+    return np.minimum(a, b), np.maximum(a, b)
+
+
+def _tree_of(level: int, leaf: int):
+    def work(name: int, rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        held = Sketches(rows)
+        forest = Forest(len(held))
+        grow_tree(name, level, held, forest, leaf)
+        return _stars(rows["rec"], forest)
+
+    return work
+
+
+def _all_of(kind):
+    def work(name: int, rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        held = kind(rows)
+        forest = Forest(len(held))
+        connect(held, forest, np.arange(len(held)))
+        return _stars(rows["rec"], forest)
+
+    return work
+
+
+def _asked_of(kind):
+    def work(name: int, rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        held = kind(rows)
+        forest = Forest(len(held))
+        _, first, label = np.unique(rows["label"], return_index=True, return_inverse=True)
+        for j, k in enumerate(first[label].tolist()):
+            forest.join(j, k)
+        known = forest.roots().copy()
+        ask(held, forest, np.flatnonzero(rows["side"] == 1), np.flatnonzero(rows["side"] == 0))
+        moved = np.flatnonzero(forest.roots() != known)  # links between known groups; those inside are known
+        a, b = rows["rec"][forest.up[moved]], rows["rec"][moved]
+        return np.minimum(a, b), np.maximum(a, b)
+
+    return work
+
+
+def _by_group(work):
+    """Calls work(name, rows of one group as arrays) in partitions sorted by grp; groups may span batches."""
 
     def groups(rows: pd.DataFrame) -> pd.DataFrame:
-        keys = rows[key].to_numpy()
+        keys = rows["grp"].to_numpy()
+        arrays = {c: rows[c].to_numpy() for c in rows.columns if c != "grp"}
         cuts = np.flatnonzero(np.append(True, keys[1:] != keys[:-1]))
-        arrays = {c: (np.vstack(rows[c].to_list()) if c == "sketch" else rows[c].to_numpy()) for c in rows.columns if c != key}
-        made = [work({c: v[a:b] for c, v in arrays.items()}) for a, b in zip(cuts, np.append(cuts[1:], len(keys)), strict=True) if b - a > 1]
-        pairs = [np.concatenate([m[c] for m in made]) if made else np.empty(0, dtype=np.int64) for c in range(len(columns))]
-        return pd.DataFrame(dict(zip(columns, pairs, strict=True)), dtype="int64")
+        stops = np.append(cuts[1:], len(keys))
+        several = stops - cuts > 1
+        made = [work(int(keys[a]), {c: v[a:b] for c, v in arrays.items()}) for a, b in zip(cuts[several].tolist(), stops[several].tolist(), strict=True)]
+        a, b = (np.concatenate([m[c] for m in made]) if made else np.empty(0, dtype=np.int64) for c in (0, 1))
+        apart = a != b  # heads stand twice in a chunk
+        return pd.DataFrame({"a": a[apart], "b": b[apart]}, dtype="int64")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: pd.DataFrame | None = None
+        held: list[pd.DataFrame] = []
         for batch in batches:
-            batch = batch if held is None else pd.concat([held, batch], ignore_index=True)
             if not len(batch):
                 continue
-            other = np.flatnonzero(batch[key].to_numpy() != batch[key].iloc[-1])
+            keys = batch["grp"].to_numpy()
+            other = np.flatnonzero(keys != keys[-1])
+            if held and held[-1]["grp"].iloc[-1] == keys[-1] and not len(other):
+                held.append(batch)
+                continue
             last = int(other[-1]) + 1 if len(other) else 0
-            held = batch.iloc[last:]
-            if last:
-                yield groups(batch.iloc[:last])
-        if held is not None and len(held):
-            yield groups(held)
+            yield groups(pd.concat([*held, batch.iloc[:last]], ignore_index=True) if held else batch.iloc[:last])
+            held = [batch.iloc[last:]]
+        if held:
+            yield groups(pd.concat(held, ignore_index=True))
 
     return run
 
 
-def _each_group(rows: DataFrame, key: str, work, columns: list[str]) -> DataFrame:
-    return rows.repartition(key).sortWithinPartitions(key, "id").mapInPandas(_by_group(key, work, columns), ", ".join(f"{c} long" for c in columns))
-
-
-def _leaf_clusters(rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """(cluster, id): groups of a leaf whose sketches can't rule out a link; equal groups of other leaves get the same name."""
-    ids, n, drawn = rows["id"], rows["n"], rows["sketch"]
-    forest = Forest(len(ids))
-    for i in range(len(ids) - 1):
-        near = (drawn[i + 1 :] == drawn[i]).mean(axis=1) >= FAR
-        near &= PERCENT * np.maximum(n[i], n[i + 1 :]) <= 100 * np.minimum(n[i], n[i + 1 :])
-        for j in np.flatnonzero(near):
-            forest.join(i, i + 1 + int(j))
-    root = np.array([forest.find(i) for i in range(len(ids))])
-    size = np.bincount(root, minlength=len(ids))
-    name, kept = np.empty(len(ids), dtype=np.int64), size[root] > 1
-    for r in np.flatnonzero(size > 1):
-        mine = root == r
-        name[mine] = xxhash.xxh64_intdigest(np.ascontiguousarray(ids[mine]).tobytes()) - 2**63
-    return name[kept], ids[kept]
-
-
-def _compare(rows: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """(a, b): star edges of a leaf's components, confirmed on the full sets. With side and label, members that ask (1) meet all members
-    of other labels than their own."""
-    ids, drawn = rows["id"], rows["sketch"]
-    sets = [np.frombuffer(m, dtype=np.uint64) for m in rows["members"]]
-    named = "label" in rows
-    forest = Forest(len(ids))
-    for label in np.unique(rows["label"]) if named else ():
-        same = np.flatnonzero(rows["label"] == label)
-        for j in same[1:]:
-            forest.join(int(same[0]), int(j))
-    found: list[tuple[int, int]] = []
-    for i in np.flatnonzero(rows["side"]) if named else range(len(ids) - 1):
-        near = (drawn == drawn[i]).mean(axis=1) >= FAR
-        for j in np.flatnonzero(near) if named else np.flatnonzero(near[i + 1 :]) + i + 1:
-            if forest.find(int(i)) != forest.find(int(j)) and linked(sets[i], sets[j]):
-                forest.join(int(i), int(j))
-                found.append((int(i), int(j)))
-    if not named:
-        root = [forest.find(i) for i in range(len(ids))]
-        found = [(r, i) for i, r in enumerate(root) if r != i]
-    return np.array([min(ids[i], ids[j]) for i, j in found], dtype=np.int64), np.array([max(ids[i], ids[j]) for i, j in found], dtype=np.int64)
-
-
-def _sized(rows: DataFrame) -> DataFrame:
-    """rows (node, id) with the node's number of records; nodes of one record are left out."""
-    sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("held")).filter("held > 1")
-    return cut_lineage(rows.join(cut_lineage(sizes), "node"))
-
-
-def _roots(records: DataFrame) -> DataFrame:
-    """(node, id): each record's node in each tree."""
-    coordinates = np.random.default_rng(17).permutation(SKETCH)
-    roots = F.array(*[F.xxhash64(F.lit(t), F.get("sketch", F.lit(int(coordinates[t % SKETCH])))) for t in range(TREES)])
-    return records.select(F.explode(roots).alias("node"), "id")
-
-
-def _children(rows: DataFrame, level: int) -> DataFrame:
-    """rows (node, id, n, sketch) sent on to the children that their nodes choose."""
-    step = SKETCH // BRANCHES[level]  # one coordinate of each stretch, so that all differ
-    chosen = F.array(*[(F.pmod(F.xxhash64("node", F.lit(level), F.lit(i)), F.lit(step)) + i * step).cast("int") for i in range(BRANCHES[level])])
-    out = rows.withColumn("at", F.explode(chosen))
-    return out.select(F.xxhash64("node", "at", F.get("sketch", F.col("at"))).alias("node"), "id")
-
-
-def _stars(dense: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b): links of the members of large nodes to a few members of their own."""
-    heads = dense.groupBy("node").agg(F.array_distinct(F.array(*[F.min_by("id", F.xxhash64("node", "id", F.lit(s))) for s in range(HEADS)])).alias("heads"))
-    pairs = dense.join(cut_lineage(heads), "node").select("id", F.explode("heads").alias("head")).filter("id <> head").distinct()
-    ahead = sets.select(F.col("id").alias("head"), F.col("sketch").alias("head_sketch"), F.col("members").alias("head_members"))
-    likely = F.aggregate(F.zip_with("sketch", "head_sketch", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x) >= FAR * SKETCH
-
-    @F.pandas_udf("boolean")
-    def confirmed(x: pd.Series, y: pd.Series) -> pd.Series:
-        return pd.Series([linked(np.frombuffer(p, dtype=np.uint64), np.frombuffer(q, dtype=np.uint64)) for p, q in zip(x, y, strict=True)], dtype=bool)
-
-    met = pairs.join(sets, "id").join(ahead, "head").filter(likely).filter(confirmed("members", "head_members"))
-    return met.select(F.least("head", "id").alias("a"), F.greatest("head", "id").alias("b"))
-
-
-def _rest(dense: DataFrame, labels: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b): links of members of large nodes outside the node's largest component to all members of the node, exhaustively."""
-    named = cut_lineage(dense.join(labels, "id", "left").select("node", "id", F.coalesce("label", "id").alias("label")))
-    most = named.groupBy("node", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("node").agg(F.max_by("label", "n").alias("main"), F.sum("n").alias("held"), F.max("n").alias("largest"))
-    most = cut_lineage(most.filter("held > largest"))
-    rows = cut_lineage(named.join(most, "node").withColumn("us", F.ceil((F.col("held") - F.col("largest")) / LEAF).cast("int")).withColumn("ms", F.ceil(F.col("held") / LEAF).cast("int")))
+def _each_group(rows: DataFrame, work) -> DataFrame:
+    """(a, b): star edges of the groups that work finds in each grp of rows."""
+    return rows.repartition("grp").sortWithinPartitions("grp").mapInPandas(_by_group(work), "a long, b long")
+
+
+def _oversized(rows: DataFrame, weight: Column, limit: int) -> DataFrame:
+    """grp and held (its weight) of the groups above the limit, checkpointed: at most the total weight over the limit of them."""
+    return cut_lineage(rows.groupBy("grp").agg(F.sum(weight).cast("long").alias("held")).filter(F.col("held") > limit))
+
+
+def _grid(asking: DataFrame, asked: DataFrame, kind, limit: int, weight: Column) -> DataFrame:
+    """(a, b): links of asking to asked, both (grp, rec, label, payload), block by block of one group."""
+    size = lambda rows, name: rows.groupBy("grp").agg(F.ceil(F.sum(weight) / limit).cast("int").alias(name))
+    blocks = cut_lineage(size(asking, "us").join(size(asked, "ms"), "grp"))
     each = lambda count: F.explode(F.sequence(F.lit(0), F.col(count) - 1))
-    asking = rows.filter("label <> main").withColumn("u", F.pmod(F.xxhash64("id"), "us").cast("int")).withColumn("m", each("ms"))
-    asked = rows.withColumn("m", F.pmod(F.xxhash64("id"), "ms").cast("int")).withColumn("u", each("us"))
-    both = asking.withColumn("side", F.lit(1)).unionByName(asked.withColumn("side", F.lit(0)))
-    leaves = both.groupBy(F.xxhash64("node", "u", "m").alias("leaf"), "id", "label").agg(F.max("side").cast("long").alias("side"))
-    return _each_group(leaves.join(sets.select("id", "sketch", "members"), "id"), "leaf", _compare, ["a", "b"])
+    of = lambda count: F.pmod(F.xxhash64("rec"), F.col(count)).cast("int")
+    left = asking.join(blocks, "grp").withColumn("u", of("us")).withColumn("m", each("ms")).withColumn("side", F.lit(1))
+    right = asked.join(blocks, "grp").withColumn("m", of("ms")).withColumn("u", each("us")).withColumn("side", F.lit(0))
+    both = left.unionByName(right).withColumn("grp", F.xxhash64("grp", "u", "m")).drop("u", "m", "us", "ms")
+    return _each_group(both, _asked_of(kind))
+
+
+def _large_groups(large: DataFrame, kind, limit: int, weight: Column) -> DataFrame:
+    """(a, b): links within groups beyond one task, large (grp, rec, held, payload): chunks that share the heads, then the members
+    outside the group's largest component against all."""
+    parts = F.ceil(F.col("held") / limit).cast("int")
+    heads = large.groupBy("grp").agg(F.array_distinct(F.array(*[F.min_by("rec", F.xxhash64("rec", F.lit(s))) for s in range(HEADS)])).alias("heads"))
+    shared = large.join(heads, "grp").filter(F.array_contains("heads", F.col("rec"))).drop("heads").withColumn("chunk", F.explode(F.sequence(F.lit(0), parts - 1)))
+    dealt = large.withColumn("chunk", F.pmod(F.xxhash64("rec", F.lit(3)), parts))
+    chunks = shared.unionByName(dealt.withColumn("chunk", F.col("chunk").cast("int"))).withColumn("grp", F.xxhash64("grp", "chunk")).drop("chunk", "held")
+    edges = cut_lineage(_each_group(chunks, _all_of(kind)))
+    named = large.drop("held").join(components(edges), F.col("rec") == F.col("id"), "left").withColumn("label", F.coalesce("label", "rec")).drop("id")
+    named = cut_lineage(named)
+    main = named.groupBy("grp", "label").agg(F.count(F.lit(1)).alias("count")).groupBy("grp").agg(F.max_by("label", F.struct("count", "label")).alias("main"))
+    asking = cut_lineage(named.join(main, "grp").filter("label <> main").drop("main"))
+    if asking.isEmpty():
+        return edges
+    return edges.unionByName(_grid(asking, named, kind, limit, weight))
 
 
-def links(docs: DataFrame, records: DataFrame) -> DataFrame:
-    """(a, b) with a < b: links between records (id, n, sketch) that connect each component."""
-    live = _sized(_roots(records))
-    leaves = None
-    for level in range(len(BRANCHES) + 1):
-        small = live.filter(F.col("held") <= LEAF).select("node", "id")
-        leaves = small if leaves is None else leaves.unionByName(small)
-        live = live.filter(F.col("held") > LEAF)
-        if level == len(BRANCHES) or live.isEmpty():
+def _split_off(rows: DataFrame, big: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """rows in small groups, and rows in big ones with held."""
+    named = small_or_shuffled(big)
+    return rows.join(named, "grp", "left_anti"), cut_lineage(rows.join(named, "grp"))
+
+
+def candidate_edges(records: DataFrame) -> DataFrame:
+    """(a, b): links that the sketches of records (rec, n, roots, drawn) can't rule out, which connect each candidate group."""
+    one = F.lit(1)
+    rows = records.select(F.explode("roots").alias("grp"), "rec", "n", "drawn")
+    found: list[DataFrame] = []
+    for level in range(DEPTH + 1):
+        big = _oversized(rows, one, NODE)
+        if big.isEmpty():
+            found.append(_each_group(rows, _tree_of(level, LEAF)))
             break
-        live = _sized(_children(live.join(records, "id"), level))
-    clustered = cut_lineage(_each_group(leaves.join(records, "id"), "node", _leaf_clusters, ["leaf", "id"]).distinct())
-    dense = live.select("node", "id")
-    if not dense.isEmpty():  # large nodes that share members are one group, compared once and not once a tree
-        first = cut_lineage(dense.groupBy("node").agg(F.min("id").alias("a")))
-        dense = components(dense.join(first, "node").select("a", F.col("id").alias("b")).distinct()).select(F.col("label").alias("node"), "id")
-    wanted = clustered.select("id").unionByName(dense.select("id")).distinct()
-    sets = full_sets(docs, cut_lineage(wanted)).join(records, "id").filter(F.length("members") == 8 * F.col("n")).dropDuplicates(["id"])
-    sets = cut_lineage(sets)
-    edges = cut_lineage(_each_group(clustered.join(sets.select("id", "sketch", "members"), "id"), "leaf", _compare, ["a", "b"]).distinct())
-    if dense.isEmpty():
-        return edges
-    some = cut_lineage(sets.join(dense.select("id").distinct(), "id", "left_semi"))
-    edges = cut_lineage(edges.unionByName(_stars(dense, some)).distinct())
-    return cut_lineage(edges.unionByName(_rest(dense, components(edges), some)).distinct())
+        small, large = _split_off(rows, big)
+        found.append(_each_group(small, _tree_of(level, LEAF)))
+        if level == DEPTH:
+            found.append(_large_groups(large, Sketches, NODE, one))
+            break
+        picks = [F.min_by("drawn", F.xxhash64("rec", F.lit(s))) for s in range(HEADS)]
+        flagged = large.join(large.groupBy("grp").agg(F.array(*picks).alias("heads")), "grp").mapInPandas(_flag_central, "grp long, rec long, n long, drawn binary, held long, central boolean")
+        flagged = cut_lineage(flagged)
+        central, others = flagged.filter("central").drop("central"), flagged.filter("not central").drop("central", "held")
+        found.append(cut_lineage(_large_groups(central, Sketches, NODE, one)))
+        alone = lambda part: part.withColumn("label", F.col("rec"))
+        found.append(_grid(alone(others), alone(central.drop("held")), Sketches, NODE, one))
+        rows = cut_lineage(others.mapInPandas(_descend(level), "grp long, rec long, n long, drawn binary"))
+    out = found[0]
+    for more in found[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _flag_central(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for batch in batches:
+        own = np.frombuffer(b"".join(batch["drawn"]), dtype=np.uint8).reshape(-1, 1, SKETCH)
+        heads = np.frombuffer(b"".join(b"".join(h) for h in batch["heads"]), dtype=np.uint8).reshape(len(batch), -1, SKETCH)
+        yield batch.drop(columns="heads").assign(central=(own == heads).mean(axis=(1, 2)) >= DENSE)[["grp", "rec", "n", "drawn", "held", "central"]]
+
+
+def _descend(level: int):
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            names = children(batch["grp"].to_numpy(), level, np.frombuffer(b"".join(batch["drawn"]), dtype=np.uint8).reshape(-1, SKETCH))
+            for column in names.T:
+                yield batch.assign(grp=column)
+
+    return run
+
+
+def _stars_of(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The components of a partition's edges as stars around their least ids; moved: whether any edge was not of that kind."""
+    parts = [b[["a", "b"]].to_numpy() for b in batches if len(b)]
+    if not parts:
+        return
+    pairs = np.unique(np.concatenate(parts), axis=0)
+    ids, at = np.unique(pairs, return_inverse=True)
+    a, b = at.reshape(-1, 2).T
+    label = np.arange(len(ids))
+    while (label[a] != label[b]).any():
+        low = np.minimum(label[a], label[b])
+        np.minimum.at(label, label[a], low)
+        np.minimum.at(label, label[b], low)
+        while not (label[label] == label).all():
+            label = label[label]
+    leaf = np.flatnonzero(label != np.arange(len(ids)))
+    yield pd.DataFrame({"a": ids[label[leaf]], "b": ids[leaf], "moved": bool((label[b] != a).any())})
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(id, label): the least member of the component of each id in edges (a, b)."""
-    both = cut_lineage(edges.select(F.col("a").alias("x"), F.col("b").alias("y")).unionByName(edges.select(F.col("b").alias("x"), F.col("a").alias("y"))))
-    labels = cut_lineage(both.groupBy("x").agg(F.min("y").alias("least")).select(F.col("x").alias("id"), F.least("x", "least").alias("label")))
+    """(id, label): the least member of the component of each id in edges (a, b), a < b.
+
+    Each round every partition has all edges of its ids and turns them into stars around the least id of each group there; when all
+    are such stars already, they are the components. Hubs, ids with many larger neighbours, are not gathered: the edges that leave
+    a hub go to its least neighbour, by a broadcast (at most 1 / HOT_SHARE hubs exist), and stand in the partitions of their other ends.
+    """
+    rows = cut_lineage(edges.select("a", "b"))
     while True:
-        near = cut_lineage(both.join(labels, F.col("y") == F.col("id")).groupBy("x").agg(F.min("label").alias("near")))
-        new = labels.join(near, F.col("id") == F.col("x")).select("id", F.least("label", "near").alias("label"), F.col("label").alias("old"))
-        new = cut_lineage(new)
-        jump = new.select(F.col("id").alias("to"), F.col("label").alias("beyond"))
-        new = cut_lineage(new.join(jump, F.col("label") == F.col("to")).select("id", F.least("label", "beyond").alias("label"), "old"))
-        if new.filter("label <> old").isEmpty():
-            return new.select("id", "label")
-        labels = new.select("id", "label")
+        limit = max(HUB, int(HOT_SHARE * rows.count()))
+        hubs = F.broadcast(cut_lineage(rows.groupBy("a").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") > limit).select(F.col("a").alias("hub"))))
+        lower = cut_lineage(rows.join(hubs, F.col("b") == F.col("hub")).groupBy("hub").agg(F.min("a").alias("least")))
+        led = rows.join(F.broadcast(lower), F.col("a") == F.col("hub"), "left").select(F.coalesce("least", "a").alias("a"), "b")
+        light = led.join(hubs, F.col("a") == F.col("hub"), "left_anti")
+        sides = led.select(F.col("b").alias("x"), "a", "b").unionByName(light.select(F.col("a").alias("x"), "a", "b"))
+        rows = cut_lineage(sides.repartition("x").mapInPandas(_stars_of, "a long, b long, moved boolean"))
+        if lower.isEmpty() and rows.filter("moved").isEmpty():
+            return cut_lineage(rows.groupBy(F.col("b").alias("id")).agg(F.min("a").alias("label")))
+
+
+def links(docs: DataFrame, records: DataFrame) -> DataFrame:
+    """(a, b) with a < b: links between records (rec, id, t, k1, k2, n, roots, drawn) that connect each component."""
+    groups = components(candidate_edges(records))
+    every = groups.unionByName(groups.select(F.col("label").alias("id"), "label").distinct()).select(F.col("id").alias("rec"), F.col("label").alias("grp"))
+    wanted = cut_lineage(records.select("rec", "t", "id", "k1", "k2").join(every, "rec"))
+    sets = cut_lineage(full_sets(docs, wanted).dropDuplicates(["rec"]))
+    weight = F.col("n")
+    big = _oversized(sets, weight, GROUP_SHINGLES)
+    if big.isEmpty():
+        return _each_group(sets, _all_of(Sets))
+    small, large = _split_off(sets, big)
+    return _each_group(small, _all_of(Sets)).unionByName(_large_groups(large, Sets, GROUP_SHINGLES, weight))
+
+
+def _with_components(docs: DataFrame) -> DataFrame:
+    """doc_id, t, n_shingles, component_id of every row."""
+    base = cut_lineage(sketches(docs))
+    sets = base.filter("n_shingles > 0").groupBy("k1", "k2")
+    unique = sets.agg(F.min("doc_id").alias("id"), F.coalesce(F.min_by("t", "doc_id"), F.min("t")).alias("t"), F.count(F.lit(1)).alias("copies"), F.first("n_shingles").alias("n"), F.first("roots").alias("roots"), F.first("drawn").alias("drawn"))
+    records = cut_lineage(unique.withColumn("rec", F.monotonically_increasing_id()))  # numbers are fixed once they are written
+    stars = components(links(docs, records))
+    named = records.select("rec", "id", "copies", "k1", "k2").join(stars.withColumnRenamed("id", "rec"), "rec", "left").withColumn("label", F.coalesce("label", "rec"))
+    linked = cut_lineage(named.join(stars.select("label").distinct(), "label", "left_semi"))
+    names = linked.groupBy("label").agg(F.min("id").alias("component"))
+    tied = linked.join(names, "label").select("k1", "k2", "copies", "component")
+    alone = named.join(stars.select("label").distinct(), "label", "left_anti").filter("copies > 1").select("k1", "k2", "copies", F.col("id").alias("component"))
+    tied = cut_lineage(tied.unionByName(alone))
+    out = join_spread(base.select("doc_id", "t", "n_shingles", "k1", "k2").filter("n_shingles > 0"), tied, ["k1", "k2"], "copies", base.count())
+    out = out.withColumn("component", F.when(F.col("copies").isNull(), F.col("doc_id")).otherwise(F.col("component")))
+    bare = base.filter("n_shingles = 0").withColumn("component", F.col("doc_id"))
+    columns = ["doc_id", "t", "n_shingles", F.col("component").alias("component_id")]
+    return out.select(*columns).unionByName(bare.select(*columns))
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row of docs (doc_id, text)."""
-    base = cut_lineage(sketches(docs))
-    unique = base.filter("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("id"), F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
-    unique = cut_lineage(unique)
-    labels = components(links(docs, unique.filter("id is not null").select("id", "n", "sketch")))
-    named = unique.join(labels, "id", "left").select(F.col("k1").alias("u1"), F.col("k2").alias("u2"), F.coalesce("label", "id").alias("component"))
-    out = base.join(cut_lineage(named), (F.col("k1") == F.col("u1")) & (F.col("k2") == F.col("u2")) & (F.col("n_shingles") > 0), "left")
-    component = F.coalesce("component", "doc_id")
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
+    return _with_components(docs).select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)).alias("kept"))
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """docs with one row of each component. Of rows that repeat an id one stays; rows without an id all stay."""
-    found = near_duplicates(docs).filter("not kept and doc_id is not null").select(F.col("doc_id").alias("near_id")).distinct()
-    named = docs.withColumn("near_key", F.col("doc_id").cast("long"))
-    kept = named.join(cut_lineage(found), F.col("near_key") == F.col("near_id"), "left_anti")
-    again = kept.filter("near_key is not null").dropDuplicates(["near_key"])
-    return again.unionByName(kept.filter("near_key is null")).select(*[F.col(f"`{c}`") for c in docs.columns])
+    """docs with one row of each component: one with the smallest doc_id, and of rows that share it one with the least text hash.
+    Rows of components without any id all stay, as do rows without words; of equal rows of one id and text one stays."""
+    rows = cut_lineage(_with_components(docs).select("doc_id", "t", "n_shingles", "component_id").filter("doc_id is not null or component_id is not null"))
+    seen = rows.filter("n_shingles > 0").groupBy(F.col("component_id").alias("c")).agg(F.min(F.when(F.col("doc_id") == F.col("component_id"), F.col("t"))).alias("best"), F.count(F.lit(1)).alias("members"))
+    several = seen.filter("members > 1")
+    met = rows.filter("n_shingles > 0").join(several, F.col("component_id") == F.col("c"))
+    chosen = F.coalesce((F.col("doc_id") == F.col("c")) & (F.col("t") == F.col("best")), F.lit(False))
+    met = cut_lineage(met.select(F.col("doc_id").alias("near_id"), F.col("t").alias("near_t"), chosen.alias("chosen")))
+    here = F.col("near_key").eqNullSafe(F.col("near_id")) & (F.col("near_hash") == F.col("near_t"))
+    gone = met.filter("not chosen").select("near_id", "near_t").distinct()
+    again = met.filter("chosen").groupBy("near_id", "near_t").count().filter("count > 1").select("near_id", "near_t")
+    held = docs.withColumn("near_key", F.col("doc_id").cast("long")).withColumn("near_hash", F.xxhash64(F.col("text").cast("string")))
+    gone, again = small_or_shuffled(cut_lineage(gone)), small_or_shuffled(cut_lineage(again))
+    kept = held.join(gone, here, "left_anti")
+    once = kept.join(again, here, "left_semi").dropDuplicates(["near_key", "near_hash"])
+    return kept.join(again, here, "left_anti").unionByName(once).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op5_near_dups(spark, sf_dir: str) -> DataFrame:
