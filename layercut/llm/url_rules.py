@@ -5,7 +5,10 @@ without a rule get the verdict of their host: trust flows from hosts that rules
 distrust from hosts that rules block against them, both seeded by the share of a host's pages that the rules decide so. Masses are
 not normalised over the hosts: they count in hosts whose pages the rules all decide so, and a host without links has its share.
 Hosts that no path connects thus leave each other's masses alone, however many there are. A host is blocked where its distrust
-exceeds its trust and the threshold. Edges are counted once per pair of hosts.
+exceeds its trust and the threshold. Edges are counted once per pair of hosts; relative links stay on their host and make none.
+
+A host that no rule touches and no path of links connects with one that rules do has no evidence, and its pages are allowed.
+Masses grow from step to step, and the steps end when no host's mass grows by more than TOLERANCE hosts.
 
 Defined results: a null url or one without :// has an empty host and path and is allowed; pages without links add no edge; repeated
 rows are judged alike; an empty table gives an empty result.
@@ -20,7 +23,7 @@ from .common import cut_lineage, lower_ascii, table
 
 # The rules of the contract.
 RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow")]
-DAMPING, ROUNDS = 0.85, 12
+DAMPING, TOLERANCE = 0.85, 1e-4
 #: In hosts whose pages are all blocked: what the former 0.02 of the whole mass came to on sf0.1 (11.0 such hosts).
 THRESHOLD = 0.22
 _LINK = r"(?i)(?:href|src)\s*=\s*[\"']?\s*((?:https?:)?//[^\s\"'<>]*)"
@@ -53,23 +56,21 @@ def host_edges(pages: DataFrame) -> DataFrame:
     return links.filter("host <> '' and host <> src").select("src", F.col("host").alias("dst")).distinct()
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, rounds: int = ROUNDS, damping: float = DAMPING, normalised: bool = True) -> DataFrame:
-    """(host, mass): personalised PageRank of seeds (host, seed; seeds sum to 1) along edges (src, dst), damped each step.
+def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, tolerance: float = TOLERANCE) -> DataFrame:
+    """(host, mass): seeds (host, seed) and what flows along edges (src, dst), damped each step and shared among a host's links.
 
-    Mass of hosts without outgoing links returns to the seeds. The loop stops when nothing moves any more. Not normalised, seeds
-    (of any sum) are refilled whole each step: the same ranks in the limit but for one factor, which depends on all hosts.
+    These are the masses of personalised PageRank but for one factor, the share that its walks start anew with. A step is one
+    aggregation by host of what was sent, the seeds and the last masses.
     """
     out = cut_lineage(edges.join(edges.groupBy("src").agg(F.count(F.lit(1)).alias("degree")), "src"))
-    mass = cut_lineage(seeds.select("host", F.col("seed").alias("mass")))
-    for _ in range(rounds):
-        sent = out.join(mass, out.src == mass.host).groupBy(F.col("dst").alias("host")).agg(F.sum(F.col("mass") / F.col("degree")).alias("got"))
-        moved = sent.agg(F.sum("got")).first()[0] or 0.0
-        refill = 1 - damping * moved if normalised else 1.0
-        new = seeds.join(sent, "host", "full").select("host", (damping * F.coalesce("got", F.lit(0.0)) + refill * F.coalesce("seed", F.lit(0.0))).alias("mass"))
-        if moved == 0:
-            return mass
-        mass = cut_lineage(new)
-    return mass
+    mass = cut_lineage(seeds.select("host", "seed", F.col("seed").cast("double").alias("mass")))
+    zero = F.lit(0.0)
+    while True:
+        sent = out.join(mass, out.src == mass.host).select(F.col("dst").alias("host"), (damping * F.col("mass") / F.col("degree")).alias("got"), zero.alias("seed"), zero.alias("old"))
+        both = sent.unionByName(mass.select("host", zero.alias("got"), "seed", F.col("mass").alias("old")))
+        mass = cut_lineage(both.groupBy("host").agg(F.sum("seed").alias("seed"), (F.sum("got") + F.sum("seed")).alias("mass"), F.sum("old").alias("old")))
+        if mass.filter(F.col("mass") - F.col("old") > tolerance).isEmpty():
+            return mass.select("host", "mass")
 
 
 def host_verdicts(pages: DataFrame, rules=RULES, threshold: float = THRESHOLD) -> DataFrame:
@@ -81,7 +82,7 @@ def host_verdicts(pages: DataFrame, rules=RULES, threshold: float = THRESHOLD) -
     sides = []
     for name, graph in (("good", edges), ("bad", edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))):
         share = hosts.filter(F.col(name) > 0).select("host", (F.col(name) / F.col("n")).alias("seed"))
-        sides.append(propagate(graph, share, normalised=False))
+        sides.append(propagate(graph, share))
     both = sides[0].withColumnRenamed("mass", "trust").join(sides[1].withColumnRenamed("mass", "distrust"), "host", "full").na.fill(0.0, ["trust", "distrust"])
     return cut_lineage(both.select(F.col("host").alias("judged_host"), "trust", "distrust", ((F.col("distrust") > F.col("trust")) & (F.col("distrust") > threshold)).alias("blocked")))
 
