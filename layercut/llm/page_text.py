@@ -32,24 +32,43 @@ HIDDEN = set("script style noscript template title textarea select svg iframe ob
 INLINE = set("a abbr b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
 CLOSED_BY_SAME = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 ENDS_P = set("address article aside blockquote div dl fieldset figure footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>", re.S)
-_NAMES = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
+#: A comment (to the page's end if it is not closed), a declaration, or the start of a tag.
+_OPEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+>?|<(/?)([a-zA-Z][^\s/>]*+)", re.S)
+#: What follows a tag's name up to its end: quotes count only where a value begins, and nothing is read twice.
+_INSIDE = re.compile(r"""(?:[^>=]++|=\s*+(?:"[^"]*+"|'[^']*+'|))*+""")
+_ATTRIBUTE = re.compile(r"""([^\s"'>/=][^\s>/=]*+)(?:\s*+=\s*+(?:"([^"]*+)"|'([^']*+)'|([^\s>]*+)))?+""")
+_SHUT = re.compile(r"""(?:\A|[\s"'])/\s*\Z""")
 _SPLIT = re.compile(r"[^a-z0-9]+")
+_ENDS = {tag: re.compile(rf"</{tag}\s*+>", re.I) for tag in HIDDEN}
 
 
 @dataclass
 class Block:
+    """text, own tag, tags and names of its ancestors, whether any ancestor is named, and how much of the text stands in links."""
+
     text: str
-    tags: tuple[str, ...]
+    own: str
+    tags: frozenset[str]
     names: frozenset[str]
+    named: bool
     linked: int
 
 
-def leaf_blocks(page: str | None) -> list[Block]:
-    """Blocks in page order; texts are decoded, with single blanks."""
+def _names(inside: str, wanted: frozenset[str] | None) -> tuple[frozenset[str], bool]:
+    """Words of the class, id and role attributes (those wanted), and whether there are any."""
+    found = set()
+    for name, *value in _ATTRIBUTE.findall(inside):
+        if name.lower() in ("class", "id", "role"):
+            found |= {w for w in _SPLIT.split("".join(value).lower()) if w}
+    return frozenset(found if wanted is None else found & wanted), bool(found)
+
+
+def leaf_blocks(page: str | None, wanted: frozenset[str] | None = None) -> list[Block]:
+    """Blocks in page order; texts are decoded, with single blanks. wanted: the names to keep, all by default. Time is linear in the page."""
     page = page or ""
     out: list[Block] = []
-    stack: list[tuple[str, frozenset[str]]] = []
+    stack: list[tuple[str, frozenset[str], frozenset[str], bool]] = [("-", frozenset(), frozenset(), False)]  # tag, and of it and its ancestors: tags, names, named
+    open_: dict[str, int] = {}
     run: list[str] = []
     linked = anchors = 0
 
@@ -58,8 +77,8 @@ def leaf_blocks(page: str | None) -> list[Block]:
         if run:
             text = " ".join(entities.unescape("".join(run)).split())
             if text:
-                held = [t for t in stack if t[0] not in INLINE]
-                out.append(Block(text, tuple(t[0] for t in held), frozenset().union(*(t[1] for t in held)), min(linked, len(text))))
+                own, tags, names, named = stack[-1]
+                out.append(Block(text, own, tags, names, named, min(linked, len(text))))
             run.clear()
         linked = 0
 
@@ -70,16 +89,23 @@ def leaf_blocks(page: str | None) -> list[Block]:
             if anchors:
                 linked += len(raw)
 
+    def pop() -> None:
+        open_[stack.pop()[0]] -= 1
+
     at = 0
-    while m := _TOKEN.search(page, at):
+    while m := _OPEN.search(page, at):
         add(page[at : m.start()])
         at = m.end()
         if not m[2]:
             continue
+        inside = _INSIDE.match(page, at)
+        at = inside.end() + 1
+        if at > len(page):  # a tag that the end of the page cuts off
+            break
         tag = m[2].lower()
         if tag in HIDDEN:
-            if not m[1] and not m[3].rstrip().endswith("/"):
-                end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, at)
+            if not m[1] and not _SHUT.search(inside[0]):
+                end = _ENDS[tag].search(page, at)
                 at = end.end() if end else len(page)
             continue
         if tag in INLINE:
@@ -91,35 +117,36 @@ def leaf_blocks(page: str | None) -> list[Block]:
         flush()
         anchors = 0
         if m[1]:
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == tag:
-                    del stack[k:]
-                    break
+            if open_.get(tag):
+                while stack[-1][0] != tag:
+                    pop()
+                pop()
             continue
-        if tag in ENDS_P and stack and stack[-1][0] == "p":
-            stack.pop()
-        while stack and stack[-1][0] in CLOSED_BY_SAME.get(tag, ()):
-            stack.pop()
-        if tag not in VOID and not m[3].rstrip().endswith("/"):
-            names = frozenset(w for n in _NAMES.findall(m[3]) for w in _SPLIT.split("".join(n).lower()) if w)
-            stack.append((tag, names))
-    rest = page[at:]
-    cut = re.search(r"<[a-zA-Z/!][^>]*\Z", rest)  # a tag that the end of the page cuts off
-    add(rest[: cut.start()] if cut else rest)
+        if tag in ENDS_P and stack[-1][0] == "p":
+            pop()
+        while stack[-1][0] in CLOSED_BY_SAME.get(tag, ()):
+            pop()
+        if tag not in VOID and not _SHUT.search(inside[0]):
+            _, tags, names, named = stack[-1]
+            own, any_ = _names(inside[0], wanted) if "=" in inside[0] else (frozenset(), False)
+            stack.append((tag, tags if tag in tags else tags | {tag}, names if own <= names else names | own, named or any_))
+            open_[tag] = open_.get(tag, 0) + 1
+    else:
+        add(page[at:])
     flush()
     return out
 
 
 def features(block: Block) -> set[str]:
     n, share = len(block.text.split()), block.linked / max(1, len(block.text))
-    out = {"bias", f"own {block.tags[-1] if block.tags else '-'}", *(f"in {t}" for t in block.tags), *(f"name {w}" for w in block.names)}
+    out = {"bias", f"own {block.own}", *(f"in {t}" for t in block.tags), *(f"name {w}" for w in block.names)}
     out.add(f"words {0 if n < 3 else 1 if n < 8 else 2 if n < 20 else 3}")
     out.add(f"links {0 if share == 0 else 1 if share < 0.5 else 2}")
     if block.text[-1:] in ".!?\"":
         out.add("stop")
     if "©" in block.text:
         out.add("copyright")
-    if not any(t in block.tags for t in ("article", "main", "nav", "aside", "footer", "header", "form")) and not block.names:
+    if not any(t in block.tags for t in ("article", "main", "nav", "aside", "footer", "header", "form")) and not block.named:
         out.add("bare")
     return out
 
@@ -172,9 +199,15 @@ def labelled_pages(count: int = 400, seed: int = 4) -> Iterator[tuple[str, list[
             body.append("</form>")
 
         def story() -> None:
-            put("h1", phrase(2, 10), 1)
-            for _ in range(draw.randint(1, 12)):
-                x = draw.random()
+            headed, count = draw.random() < 0.6, draw.choice([1, 1, 2, 2, *range(3, 13)])
+            if headed:
+                put(draw.choice(["h1", "h1", "h1", "h2"]), phrase(2, 10), 1)
+            elif draw.random() < 0.1:
+                body.append(prose())
+                state.append(1)
+                count -= 1
+            for k in range(count):
+                x = draw.random() if headed or k else 0.0
                 if x < 0.8:
                     put("p", f"<b>{prose()}" if draw.random() < 0.1 else prose(), 1)
                 elif x < 0.87:
@@ -197,27 +230,36 @@ def labelled_pages(count: int = 400, seed: int = 4) -> Iterator[tuple[str, list[
                 else:
                     put("p", prose(), 0)
 
-        if draw.random() < 0.3:
+        alone = draw.random() < 0.25
+        around = lambda chance, alone=alone: not alone and draw.random() < chance
+        if around(0.3):
             notice()
-        if draw.random() < 0.4:
+        if around(0.4):
             box(draw.choice(["header", "div"]), ["header", "masthead", "top", "site-header"], lambda: put("p", phrase(1, 8), 0))
-        if draw.random() < 0.9:
+        if around(0.9):
             box(draw.choice(["nav", "nav", "div"]), ["menu", "nav", "navigation", "navbar", "breadcrumb"], lambda: links(draw.randint(2, 8)))
-        if draw.random() < 0.5:
+        if around(0.5):
             advert()
-        if draw.random() < 0.2:
+        if around(0.2):
             form()
-        kind = draw.choice(["article", "article", "article", "main", "div", "section"])
-        box(kind, ["content", "article", "post", "entry", "story", "main", "article-body", "entry-content"], story)
-        if draw.random() < 0.4:
+        kind = draw.choice(["article", "article", "article", "main", "div", "section", "bare div", "body"])
+        if kind == "body":
+            story()
+        elif kind == "bare div":
+            body.append("<div>")
+            story()
+            body.append("</div>")
+        else:
+            box(kind, ["content", "article", "post", "entry", "story", "main", "article-body", "entry-content"], story)
+        if around(0.4):
             box(draw.choice(["aside", "div"]), ["sidebar", "related", "widget", "aside", "share"], lambda: (put("h3", phrase(1, 3), 0), links(draw.randint(1, 5)), put("p", prose(), 0)))
-        if draw.random() < 0.4:
+        if around(0.4):
             box(draw.choice(["section", "div"]), ["comments", "comment-list", "discussion", "responses"], remarks)
-        if draw.random() < 0.3:
+        if around(0.3):
             form()
-        if draw.random() < 0.2:
+        if around(0.2):
             notice()
-        if draw.random() < 0.9:
+        if around(0.9):
             copyright_ = draw.choice(["&copy; ", "&copy; ", ""])
             box(draw.choice(["footer", "footer", "div"]), ["footer", "site-footer", "bottom", "legal"], lambda: (body.append(copyright_ + prose()), state.append(0)))
         yield f"<html><head><title>{phrase(2, 6)}</title></head><body>{''.join(body)}</body></html>", state
@@ -231,6 +273,10 @@ class Field:
     start: np.ndarray
     step: np.ndarray
 
+    def names(self) -> frozenset[str]:
+        """The names that have weights."""
+        return frozenset(f[5:] for f in self.emit if f.startswith("name "))
+
     def states(self, blocks: list[Block]) -> list[int]:
         """Viterbi decoding."""
         if not blocks:
@@ -256,7 +302,7 @@ class Field:
         return out[::-1]
 
     def text(self, page: str | None) -> str:
-        blocks = leaf_blocks(page)
+        blocks = leaf_blocks(page, self.names())
         return "\n\n".join(b.text for b, s in zip(blocks, self.states(blocks), strict=True) if s)
 
 
