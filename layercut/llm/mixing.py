@@ -3,9 +3,9 @@
 Every document of a source gets the same expected number of copies, target / source size. The whole part is given outright; the
 fractional parts are paired, and words are moved at random from one document of a pair to the other until one of the two is
 integral. A move keeps the words of the pair, so a source's taken words differ from its target by less than one document.
-Groups are (source, hash bucket); each leaves one fractional document and the few it holds back (HELD), and these residuals meet
-in a reduction tree, so a source that holds most rows is never gathered in one task. At the root those held back take up what the
-last, large residual lacks, so that what is left over is a part of a small document.
+Groups are (source, hash bucket); each leaves one fractional document and its smallest ones, as many as together weigh HELD_WEIGHT times its
+largest, and these residuals meet in a reduction tree, so a source that holds most rows is never gathered in one task. At the root
+those held back take up what the last, large residual lacks, so that what is left over is a part of a small document.
 
 Defined results: null text has size 0; a null source is a source of its own, the last; documents of size 0 are rounded on their
 own (they add no words); repeated rows are rounded as rows of their own; an empty table gives an empty result. The draws depend on
@@ -25,28 +25,41 @@ from .common import cut_lineage, spread, words
 
 #: Rows of a leaf group and residuals of an inner node of the reduction tree.
 LEAF_ROWS, FAN_IN = 512, 32
-#: Documents that a group passes on besides its residual.
-HELD = 48
+#: Words of the documents that a group passes on besides its residual, as a multiple of its largest open document.
+HELD_WEIGHT = 4
+#: Sources that one task puts in order.
+SOURCE_ROWS = 100_000
 #: Sources up to this many are broadcast to the documents; more are joined by a shuffle.
 BROADCAST_SOURCES = 100_000
 _SCHEMA = "doc_id long, row_key long, source string, size long, source_size long, target double, base int, part double, bucket int, copies int"
 
 
+def _numbered(per: DataFrame) -> DataFrame:
+    """per with nth, the place of its source in code-point order (null last): ordered by ranges, each counted on from those before it."""
+    ranges = spread(per.count(), SOURCE_ROWS)
+    at = per.repartitionByRange(ranges, F.col("source").asc_nulls_last()).sortWithinPartitions(F.col("source").asc_nulls_last()).withColumn("at", F.monotonically_increasing_id())
+    at = cut_lineage(at.withColumn("range", F.shiftright("at", 33)).withColumn("at", F.col("at").bitwiseAND(F.lit((1 << 33) - 1))))
+    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+    ahead = at.groupBy("range").agg(F.count(F.lit(1)).alias("n")).select("range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("ahead"))
+    return at.join(F.broadcast(ahead), "range").withColumn("nth", F.col("at") + F.col("ahead")).drop("at", "range", "ahead")
+
+
 def source_targets(sized: DataFrame, cap: float = 3.0) -> DataFrame:
     """(source, source_size, target): weights 1, 2, 3 repeating in code-point order, shares of all words, stopped at cap times the size.
 
-    Resharing the excess by weight until nobody is above ends at the level c with sum(min(cap * size, c * weight)) = total.
+    Each round shares what the stopped sources leave among the others by weight and stops those above; one sum over the sources a round.
     """
-    per = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
-    per = per.withColumn("weight", (F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1) % 3 + 1)
-    per = per.withColumn("most", F.col("source_size") * F.lit(float(cap))).withColumn("stop", F.col("most") / F.col("weight"))
-    order = Window.orderBy("stop", F.col("source").asc_nulls_last())
-    before, after = order.rowsBetween(Window.unboundedPreceding, -1), order.rowsBetween(0, Window.unboundedFollowing)
-    everything = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    level = (F.sum("source_size").over(everything) - F.coalesce(F.sum("most").over(before), F.lit(0.0))) / F.sum("weight").over(after)
-    per = per.withColumn("level", level)
-    per = per.withColumn("level", F.min_by("level", F.when(F.col("level") <= F.col("stop"), F.col("stop"))).over(everything))
-    return per.select("source", "source_size", F.coalesce(F.least("most", F.col("level") * F.col("weight")), F.col("most")).alias("target"))
+    per = cut_lineage(sized.groupBy("source").agg(F.sum("size").alias("source_size")))
+    per = _numbered(per).withColumn("weight", F.col("nth") % 3 + 1).withColumn("most", F.col("source_size") * F.lit(float(cap)))
+    per = cut_lineage(per.withColumn("stop", F.col("most") / F.col("weight")))
+    everything = per.agg(F.sum("source_size")).first()[0] or 0
+    level, stopped = 0.0, None
+    while True:
+        now = per.agg(F.sum(F.when(F.col("stop") <= level, F.col("most"))).alias("held"), F.sum(F.when(F.col("stop") > level, F.col("weight"))).alias("weight"), F.count_if(F.col("stop") <= level).alias("n")).first()
+        if not now["weight"] or now["n"] == stopped:
+            break
+        level, stopped = (everything - (now["held"] or 0.0)) / now["weight"], now["n"]
+    return per.select("source", "source_size", F.least("most", F.lit(float(level)) * F.col("weight")).alias("target"))
 
 
 def settle(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> np.ndarray:
@@ -73,12 +86,16 @@ def settle(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> n
 
 
 def finish(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> np.ndarray:
-    """Parts, all 0 or 1, for documents in falling order of size: each is driven to one end, drawn once, by those after it.
+    """Parts, all 0 or 1, for documents in falling order of size: each is driven to one end, drawn once, by those after it (to the other
+    end where those after it can't give or take enough for the end drawn).
 
     Pairing leaves the largest document of a set fractional; the few held back for this step take up what it lacks, so that the
     last one open is a small one.
     """
     out, open_, up = parts.astype(float).copy(), -1, False
+    live = (out > 0) & (out < 1)
+    after = lambda x: np.append(np.cumsum(np.where(live, x, 0.0)[::-1])[::-1][1:], 0.0)
+    gives, takes = after(out * sizes), after((1 - out) * sizes)  # words of all that come later
     for j in range(len(out)):
         if not 0.0 < out[j] < 1.0:
             continue
@@ -94,19 +111,22 @@ def finish(sizes: np.ndarray, parts: np.ndarray, draw: np.random.Generator) -> n
             open_ = -1
             if not 0.0 < out[j] < 1.0:
                 continue
+        lacks, left = (1 - out[j]) * float(sizes[j]), out[j] * float(sizes[j])
         open_, up = j, draw.random() < out[j]
+        if gives[j] < lacks if up else takes[j] < left:
+            up = gives[j] >= lacks
     if open_ >= 0:
         out[open_] = float(out[open_] >= 0.5)
     return out
 
 
 def held_back(sizes: np.ndarray, parts: np.ndarray) -> np.ndarray:
-    """Of documents in falling order of size, the smallest open ones that together weigh 4 times the largest, HELD at most."""
+    """Of documents in falling order of size, the smallest open ones that together weigh HELD_WEIGHT times the largest."""
     at = np.flatnonzero((parts > 0) & (parts < 1))
     out = np.zeros(len(parts), dtype=bool)
     if len(at):
         up = at[::-1]
-        out[up[: min(HELD, 1 + int(np.searchsorted(np.cumsum(sizes[up]), 4 * sizes[at[0]])))]] = True
+        out[up[: 1 + int(np.searchsorted(np.cumsum(sizes[up]), HELD_WEIGHT * sizes[at[0]]))]] = True
     return out
 
 
