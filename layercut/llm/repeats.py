@@ -3,14 +3,15 @@
 A byte goes if a LENGTH-byte string that covers it also starts in a document with a smaller doc_id. Texts equal to one of a smaller id are
 found by their digest. For the rest, every window of LENGTH bytes has a least hash among the grams inside it; equal windows have equal
 least hashes, so windows whose least hash occurs in one document only can't repeat and stay where they are. The others are dealt out
-by that hash: stretches of text with the same least hash meet in one shard, each distinct stretch once for each group of
-documents. A shard orders its windows by suffix-array refinement (Larsson and Sadakane's: only groups of equal prefixes are
-sorted again, by the ranks half the depth on) down to the depth LENGTH, at which equal ranks are common prefixes of LENGTH bytes
-or more; large shards are ordered in parts whose sorted windows are merged by binary search. The least doc_id of each window
-returns to the documents' groups, which mark, merge and cut the bytes.
+by that hash: stretches of text with the same least hash meet in one shard, each distinct stretch once for each group of documents.
+Least hashes that more than FINE groups hold are dealt by the hash of each whole window instead, so that a frequent gram in many
+contexts spreads over all shards. Messages between groups and shards are as many as pairs that share a stretch, so at most one a stretch.
 
-The refinement stops at the depth LENGTH, so that Kasai's pass over neighbours (kasai()) would only repeat what the ranks say; it is kept for
-reports on whole suffix arrays, and for the tests.
+A shard keeps one of equal stretches and builds the suffix array of its text by Larsson and Sadakane's refinement (groups of equal prefixes
+are sorted again by the ranks twice as deep; ends of stretches sort first). Kasai's pass, in step over all stretches, gives the common
+prefix of neighbours in the array; where it falls below LENGTH a new class of equal windows begins, and the least doc_id of a
+class is what its windows repeat. Shards of more than PART_BYTES are cut into parts, each with its own arrays, whose sorted classes are
+merged by binary search. The least doc_ids return to the documents' groups, which mark, merge and cut the bytes.
 
 Defined results: null and empty texts have no bytes; texts shorter than LENGTH lose none; rows that repeat a doc_id don't cut each other;
 rows without an id neither cut nor are cut; an empty table gives an empty result.
@@ -25,12 +26,15 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut_lineage, spread, table
+from .common import cut_lineage, join_spread, spread, table
+from .rolling import span_hashes
 
 #: Bytes of a repeated string; bytes of a gram.
 LENGTH, GRAM = 50, 16
-#: Bytes of a group of documents; shards a group; bytes of a part of a shard; window starts hashed at a time.
-GROUP_BYTES, SHARDS, PART_BYTES, STEP = 4 << 20, 4, 4 << 20, 1 << 19
+#: Bytes of a group of documents and, about, of a shard; bytes of a part of a shard; window starts hashed at a time.
+GROUP_BYTES, PART_BYTES, STEP = 4 << 20, 3 << 19, 1 << 19
+#: Window starts of a stretch; groups that may hold a least hash before its windows are dealt one by one.
+RUN, FINE = 256, 1024
 _NOTE = "p long, kind int, b long, x binary, y binary, z binary"
 _rng = np.random.default_rng(7)
 _BYTE = _rng.integers(1, 2**63, size=256, dtype=np.uint64)
@@ -74,80 +78,123 @@ def window_runs(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
 
-def refine(buf: np.ndarray, starts: np.ndarray, depth: int = LENGTH) -> np.ndarray:
-    """Rank of the windows of depth bytes at starts, in lexicographic order; equal windows have equal ranks."""
-    padded = np.concatenate([buf, np.zeros(8, dtype=np.uint8)])
-    n = len(buf)
-    key = np.zeros(n, dtype=np.uint64)
-    for i in range(8):
-        key = (key << np.uint64(8)) | padded[i : i + n]
-    order = np.argsort(key, kind="stable")
-    rank = np.empty(n, dtype=np.int64)
-    sorted_key = key[order]
-    first = np.append(True, sorted_key[1:] != sorted_key[:-1])
-    rank[order] = np.maximum.accumulate(np.where(first, np.arange(n), 0))
-    del key, sorted_key
-    known = 8
-    while known < depth:
-        step = min(known, depth - known)
-        sizes = np.bincount(rank, minlength=n)
-        open_ = np.flatnonzero(sizes[rank] > 1)  # only groups of equal prefixes are sorted again
-        open_ = open_[open_ + step < n]
-        if not len(open_):
+def _bytes_ahead(text: np.ndarray, left: np.ndarray, count: int) -> np.ndarray:
+    """The next count bytes of each place as one number, zeros past the end of its stretch."""
+    n, padded = len(text), np.concatenate([text, np.zeros(count, dtype=np.uint8)])
+    out = np.zeros(n, dtype=np.uint64)
+    for i in range(count):
+        out = (out << np.uint64(8)) | np.where(left > i, padded[i : i + n], 0).astype(np.uint64)
+    return out
+
+
+def places_left(lens: np.ndarray) -> np.ndarray:
+    """Bytes from each place to the end of its stretch."""
+    ends = np.cumsum(lens, dtype=np.int32)
+    return np.repeat(ends, lens) - np.arange(ends[-1] if len(ends) else 0, dtype=np.int32)
+
+
+def suffix_array(text: np.ndarray, left: np.ndarray) -> np.ndarray:
+    """Places of text in the order of their suffixes, which end with their stretch. Equal suffixes keep any order."""
+    n = len(text)
+    key = (_bytes_ahead(text, left, 7) << np.uint64(8)) | np.minimum(left, 7).astype(np.uint64)
+    order = np.argsort(key, kind="stable").astype(np.int32)
+    key = key[order]
+    head = np.append(True, key[1:] != key[:-1])
+    del key
+    slots = np.arange(n, dtype=np.int32)
+    rank = np.empty(n, dtype=np.int32)
+    rank[order] = np.maximum.accumulate(np.where(head, slots, 0))
+    depth = 7
+    while len(slots):
+        # only groups of several suffixes, some of which go on, are sorted again
+        first = np.flatnonzero(head)
+        size = np.diff(np.append(first, len(slots)))
+        more = (size > 1) & (np.maximum.reduceat(left[order[slots]], first) > depth)
+        slots = slots[np.repeat(more, size)]
+        if not len(slots):
             break
-        own, ahead = rank[open_], rank[open_ + step]
-        order = np.lexsort((ahead, own))
-        at, own, ahead = open_[order], own[order], ahead[order]
-        head = np.append(True, own[1:] != own[:-1])
-        place = np.arange(len(at)) - np.maximum.accumulate(np.where(head, np.arange(len(at)), 0))
-        first = head | np.append(True, ahead[1:] != ahead[:-1])
-        new = np.maximum.accumulate(np.where(first, np.arange(len(at)), 0))
-        rank = rank.copy()
-        rank[at] = own + place[new]
-        known += step
-    return rank[starts]
-
-
-def kasai(buf: bytes, suffixes: np.ndarray) -> np.ndarray:
-    """Longest common prefix of each suffix in suffixes (a whole suffix array) with the one before it."""
-    n = len(buf)
-    rank = np.empty(n, dtype=np.int64)
-    rank[suffixes] = np.arange(n)
-    out, k = np.zeros(n, dtype=np.int64), 0
-    for i in range(n):
-        if rank[i]:
-            j = suffixes[rank[i] - 1]
-            while i + k < n and j + k < n and buf[i + k] == buf[j + k]:
-                k += 1
-            out[rank[i]] = k
-            k = max(0, k - 1)
-        else:
-            k = 0
+        at = order[slots]
+        on = left[at] > depth
+        ahead = np.where(on, rank[np.where(on, at + depth, 0)] + 1, 0)
+        key = (rank[at].astype(np.int64) << 32) | ahead
+        by = np.argsort(key, kind="stable")
+        at, key = at[by], key[by]
+        head = np.append(True, key[1:] != key[:-1])
+        order[slots] = at
+        rank[at] = np.maximum.accumulate(np.where(head, slots, 0))
+        depth *= 2
+    return order
+
+
+def kasai(text: np.ndarray, lens: np.ndarray, order: np.ndarray) -> np.ndarray:
+    """Common prefix of each suffix in order (a suffix array of stretches of these lengths) with the one before it.
+
+    The place after i shares with its forerunner at least one byte less than i does. Stretches take this step side by side.
+    """
+    n, left = len(text), places_left(lens)
+    place = np.empty(n, dtype=np.int32)
+    place[order] = np.arange(n, dtype=np.int32)
+    ahead = _bytes_ahead(text, left, 8)
+    longest = np.argsort(-lens, kind="stable")
+    begin, length = (np.cumsum(lens) - lens)[longest], lens[longest]
+    out, shared = np.zeros(n, dtype=np.int32), np.zeros(len(lens), dtype=np.int64)
+    for step in range(int(length[0]) if len(length) else 0):
+        live = int(np.searchsorted(-length, -step, side="left"))
+        i = begin[:live] + step
+        at = place[i]
+        j = order[np.maximum(at - 1, 0)]
+        most = np.where(at > 0, np.minimum(left[i], left[j]), 0)
+        k = np.minimum(np.maximum(shared[:live] - 1, 0), most)
+        open_ = np.flatnonzero(k < most)
+        while len(open_):
+            x = ahead[i[open_] + k[open_]] ^ ahead[j[open_] + k[open_]]
+            same = np.full(len(open_), 8)
+            for b in range(8):
+                same -= x >= np.uint64(1 << (8 * b))
+            k[open_] = np.minimum(k[open_] + same, most[open_])
+            open_ = open_[(same == 8) & (k[open_] < most[open_])]
+        out[at] = shared[:live] = k
     return out
 
 
+def equal_windows(text: np.ndarray, lens: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
+    """(windows, class): starts of the windows of size bytes in their order, and the number of each one's class of equal windows."""
+    left = places_left(lens)
+    order = suffix_array(text, left)
+    classes = np.cumsum(kasai(text, lens, order) < size)
+    whole = left[order] >= size
+    _, classes = np.unique(classes[whole], return_inverse=True)
+    return order[whole], classes
+
+
 def least_owner(parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> list[np.ndarray]:
-    """For each part (bytes, window starts, owner of each window): the least owner of each window over all parts."""
+    """For each part (text, lengths of its stretches, owner of each): the least owner of each window over all parts, by window start
+    (places that begin no window have the greatest number)."""
     ordered = []
-    for buf, starts, owner in parts:
-        rank = refine(buf, starts)
-        kinds, first, of = np.unique(rank, return_index=True, return_inverse=True)
-        least = np.full(len(kinds), np.iinfo(np.int64).max)
-        np.minimum.at(least, of, owner)
-        ordered.append((buf, starts[first], of, least))
-    if len(parts) == 1:
-        return [ordered[0][3][ordered[0][2]]]
-    marked = []  # a last byte 1 keeps strings that end with byte 0 apart
-    for buf, first, _, _ in ordered:
-        rows = np.lib.stride_tricks.sliding_window_view(buf, LENGTH)[first]
-        marked.append(np.ascontiguousarray(np.hstack([rows, np.ones((len(rows), 1), dtype=np.uint8)])).view(f"S{LENGTH + 1}").ravel())
-    keys, least = marked[0], ordered[0][3].copy()
-    for new, (_, _, _, owner) in zip(marked[1:], ordered[1:], strict=True):
+    none = np.iinfo(np.int64).max
+    for text, lens, owner in parts:
+        at, of = equal_windows(text, lens)
+        first = np.flatnonzero(np.append(True, of[1:] != of[:-1])) if len(of) else np.empty(0, dtype=np.int64)
+        least = np.minimum.reduceat(np.repeat(owner, lens)[at], first) if len(of) else np.empty(0, dtype=np.int64)
+        ordered.append((text, at, of, first, least))
+
+    def spell(text: np.ndarray, at: np.ndarray) -> np.ndarray:  # a last byte 1 keeps strings that end with byte 0 apart
+        rows = np.lib.stride_tricks.sliding_window_view(text, LENGTH)[at] if len(at) else np.empty((0, LENGTH), dtype=np.uint8)
+        return np.ascontiguousarray(np.hstack([rows, np.ones((len(rows), 1), dtype=np.uint8)])).view(f"S{LENGTH + 1}").ravel()
+
+    marked = [spell(text, at[first]) for text, at, _, first, _ in ordered] if len(parts) > 1 else [None]
+    keys, least = marked[0], ordered[0][4].copy()
+    for new, (_, _, _, _, owner) in zip(marked[1:], ordered[1:], strict=True):
         at = np.searchsorted(keys, new)
-        same = (at < len(keys)) & (keys[np.minimum(at, len(keys) - 1)] == new)
+        same = (at < len(keys)) & (keys[np.minimum(at, max(0, len(keys) - 1))] == new) if len(keys) else np.zeros(len(new), dtype=bool)
         least[at[same]] = np.minimum(least[at[same]], owner[same])
         keys, least = np.insert(keys, at[~same], new[~same]), np.insert(least, at[~same], owner[~same])
-    return [least[np.searchsorted(keys, key)][of] for key, (_, _, of, _) in zip(marked, ordered, strict=True)]
+    out = []
+    for mine, (text, at, of, _, owner) in zip(marked, ordered, strict=True):
+        full = np.full(len(text), none)
+        full[at] = (owner if mine is None else least[np.searchsorted(keys, mine)])[of]
+        out.append(full)
+    return out
 
 
 class Group:
@@ -166,15 +213,20 @@ class Group:
     def runs(self):
         return window_runs(self.buf, self.ends)
 
-    def stretches(self, hot: np.ndarray, shards: int):
+    def stretches(self, hot: np.ndarray, fine: np.ndarray, shards: int):
         """Distinct stretches of text of the runs with a hot least hash, by shard: {shard: ([bytes], [least owner])}, and each run's place."""
         start, stop, h, doc = self.runs()
-        if len(hot):
-            at = np.searchsorted(hot, h)
-            keep = hot[np.minimum(at, len(hot) - 1)] == h
-        else:
-            keep = np.zeros(len(h), dtype=bool)
-        start, stop, h, doc = start[keep], stop[keep], h[keep], doc[keep]
+        at = np.searchsorted(hot, h)
+        keep = hot[np.minimum(at, len(hot) - 1)] == h if len(hot) else np.zeros(len(h), dtype=bool)
+        start, stop, h, doc, single = start[keep], stop[keep], h[keep], doc[keep], fine[at[keep]] if len(hot) else keep[keep]
+        pieces = np.where(single, stop - start, -(-(stop - start) // RUN))
+        nth = np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+        single, h, doc, end = (np.repeat(x, pieces) for x in (single, h, doc, stop))
+        start = np.repeat(start, pieces) + nth * np.where(single, 1, RUN)
+        stop = np.where(single, start + 1, np.minimum(end, start + RUN))
+        if single.any():
+            h = h.copy()
+            h[single] = span_hashes(self.buf, start[single], start[single] + LENGTH)
         raw, shard, owner = self.buf.tobytes(), (h % np.uint64(shards)).astype(np.int64).tolist(), self.owner[doc].tolist()
         by: dict[int, tuple[dict[bytes, int], list[int]]] = {}
         places = []
@@ -194,9 +246,14 @@ def _copies(notes: pd.DataFrame) -> dict[bytes, int]:
     return {bytes(x): int.from_bytes(bytes(y), "big", signed=True) for x, y in zip(rows["x"], rows["y"], strict=True)}
 
 
-def _hot(notes: pd.DataFrame) -> np.ndarray:
-    found = [np.frombuffer(x, dtype=np.uint64) for x in notes.loc[notes["kind"] == 1, "x"]]
-    return np.unique(np.concatenate(found)) if found else np.empty(0, dtype=np.uint64)
+def _hot(notes: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Hot least hashes in order, and which of them are dealt window by window."""
+    rows = notes[notes["kind"] == 1]
+    if not len(rows):
+        return np.empty(0, dtype=np.uint64), np.empty(0, dtype=bool)
+    hot, fine = (np.concatenate([np.frombuffer(x, dtype=t) for x in rows[c]]) for c, t in (("x", np.uint64), ("y", bool)))
+    order = np.argsort(hot)
+    return hot[order], fine[order]
 
 
 def _frame(rows: list[tuple]) -> pd.DataFrame:
@@ -228,63 +285,68 @@ def _hashes(shards: int):
     return run
 
 
-def _find_hot(rows: pd.DataFrame) -> pd.DataFrame:
-    each = [np.frombuffer(x, dtype=np.uint64) for x in rows["x"]]
-    several = np.concatenate([np.frombuffer(y, dtype=bool) for y in rows["y"]])
-    group = np.repeat(np.arange(len(each)), [len(x) for x in each])
-    h = np.concatenate(each)
-    order = np.argsort(h, kind="stable")
-    h, several, group = h[order], several[order], group[order]
-    head = np.append(True, h[1:] != h[:-1])
-    of = np.cumsum(head) - 1
-    hot = (np.bincount(of) > 1) | (np.bincount(of, weights=several) > 0)
-    h, group = h[hot[of]], group[hot[of]]
-    ps = rows["p"].to_numpy()
-    return _frame([(int(ps[g]), 1, 0, h[group == g].tobytes(), None, None) for g in np.unique(group)])
+def _find_hot(limit: int):
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        """For each group its hot least hashes of this shard: those of several groups or documents."""
+        each = [np.frombuffer(x, dtype=np.uint64) for x in rows["x"]]
+        several = np.concatenate([np.frombuffer(y, dtype=bool) for y in rows["y"]])
+        group = np.repeat(np.arange(len(each)), [len(x) for x in each])
+        _, of, count = np.unique(np.concatenate(each), return_inverse=True, return_counts=True)
+        hot = ((count > 1) | (np.bincount(of, weights=several) > 0))[of]
+        h, group, fine = np.concatenate(each)[hot], group[hot], (count > limit)[of][hot]  # still in the order of groups
+        cuts = np.searchsorted(group, np.arange(len(each) + 1))
+        return _frame([(p, 1, 0, h[a:b].tobytes(), fine[a:b].tobytes(), None) for p, a, b in zip(rows["p"].tolist(), cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if b > a])
+
+    return run
 
 
 def _send(shards: int):
     def run(docs: pd.DataFrame, notes: pd.DataFrame) -> pd.DataFrame:
         if not len(docs):
             return _frame([])
-        by, _ = Group(docs, _copies(notes)).stretches(_hot(notes), shards)
+        by, _ = Group(docs, _copies(notes)).stretches(*_hot(notes), shards)
         p = int(docs["p"].iloc[0])
         return _frame([(p, 2, b, b"".join(t), np.array([len(s) for s in t], dtype=np.int32).tobytes(), np.array(least, dtype=np.int64).tobytes()) for b, (t, least) in by.items()])
 
     return run
 
 
-def _order_shard(rows: pd.DataFrame) -> pd.DataFrame:
-    """Least owners of the windows of each row's stretches, as runs: x runs of each stretch, y their lengths, z the owners."""
-    rows = rows.sort_values("p").reset_index(drop=True)
-    parts, windows, held, size = [], [], [], 0
-    for x, y, z in zip(rows["x"], rows["y"], rows["z"], strict=True):
-        lens = np.frombuffer(y, dtype=np.int32).astype(np.int64)
-        windows.append(lens - LENGTH + 1)
-        held.append((np.frombuffer(x, dtype=np.uint8), lens, np.frombuffer(z, dtype=np.int64)))
-        size += len(x)
-        if size >= PART_BYTES:
-            parts.append(held)
-            held, size = [], 0
-    if held:
-        parts.append(held)
-    made = []
-    for part in parts:
-        lens = np.concatenate([h[1] for h in part])
-        count = lens - LENGTH + 1
-        begin = np.cumsum(lens) - lens
-        starts = np.repeat(begin - (np.cumsum(count) - count), count) + np.arange(count.sum())
-        made.append((np.concatenate([h[0] for h in part]), starts, np.repeat(np.concatenate([h[2] for h in part]), count)))
-    least, at, out = np.concatenate(least_owner(made)), 0, []
-    for p, b, count in zip(rows["p"], rows["b"], windows, strict=True):
-        mine = least[at : at + count.sum()]
-        at += len(mine)
-        head = np.append(True, mine[1:] != mine[:-1])
-        head[np.cumsum(count) - count] = True
+def _order_shard(part_bytes: int):
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        """Least owners of the windows of each row's stretches, as runs: x runs of each stretch, y their lengths, z the owners."""
+        rows = rows.sort_values("p").reset_index(drop=True)
+        known: dict[bytes, int] = {}
+        which: list[np.ndarray] = []
+        for x, y in zip(rows["x"], rows["y"], strict=True):
+            ends = np.cumsum(np.frombuffer(y, dtype=np.int32), dtype=np.int64).tolist()
+            which.append(np.array([known.setdefault(x[a:b], len(known)) for a, b in zip([0, *ends], ends, strict=False)], dtype=np.int64))
+        owner = np.full(len(known), np.iinfo(np.int64).max)
+        for k, z in zip(which, rows["z"], strict=True):
+            np.minimum.at(owner, k, np.frombuffer(z, dtype=np.int64))
+        stretches = list(known)
+        lens = np.array([len(s) for s in stretches], dtype=np.int64)
+        cuts = np.flatnonzero(np.diff(np.append(-1, (np.cumsum(lens) - lens) // part_bytes)))
+        parts = [(np.frombuffer(b"".join(stretches[a:b]), dtype=np.uint8), lens[a:b], owner[a:b]) for a, b in zip(cuts.tolist(), np.append(cuts[1:], len(lens)).tolist(), strict=True)]
+        least = np.concatenate(least_owner(parts))
+        begin, count = np.cumsum(lens) - lens, lens - LENGTH + 1
+        # runs of one least owner inside each stretch
+        head = np.append(True, least[1:] != least[:-1])
+        head[begin] = True
+        head[places_left(lens) < LENGTH] = False
         cut = np.flatnonzero(head)
-        per = np.diff(np.append(np.searchsorted(cut, np.cumsum(count) - count), len(cut)))
-        out.append((p, 2, b, per.astype(np.int32).tobytes(), np.diff(np.append(cut, len(mine))).astype(np.int32).tobytes(), mine[cut].tobytes()))
-    return _frame(out)
+        first = np.searchsorted(cut, np.append(begin, len(least)))
+        until = np.append(cut[1:], 0)
+        last = first[1:] - 1
+        until[last] = begin + count
+        size = (until - cut).astype(np.int32)
+        out = []
+        for p, b, k in zip(rows["p"].tolist(), rows["b"].tolist(), which, strict=True):
+            per = first[k + 1] - first[k]
+            at = np.repeat(first[k] - (np.cumsum(per) - per), per) + np.arange(per.sum())
+            out.append((p, 2, b, per.astype(np.int32).tobytes(), size[at].tobytes(), least[cut[at]].tobytes()))
+        return _frame(out)
+
+    return run
 
 
 def _cut(shards: int):
@@ -293,7 +355,7 @@ def _cut(shards: int):
         if not len(docs):
             return pd.DataFrame({c: pd.Series(dtype=t) for c, t in zip(columns, ["Int64", "int64", "int64", "int64", "str", "object"], strict=True)})
         group = Group(docs, _copies(notes))
-        _, places = group.stretches(_hot(notes), shards)
+        _, places = group.stretches(*_hot(notes), shards)
         known = {}
         for b, x, y, z in notes.loc[notes["kind"] == 2, ["b", "x", "y", "z"]].itertuples(index=False):
             per = np.frombuffer(x, dtype=np.int32)
@@ -328,25 +390,24 @@ def _cut(shards: int):
     return run
 
 
-def remove_repeats(docs: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
+def remove_repeats(docs: DataFrame, group_bytes: int = GROUP_BYTES, part_bytes: int = PART_BYTES, fine: int = FINE) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and kept (the bytes that stay) for each row of docs (doc_id, text)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    groups = spread(total, group_bytes)
-    shards = groups * SHARDS
+    total, rows = docs.agg(F.sum(F.octet_length("text")), F.count(F.lit(1))).first()
+    groups = shards = spread(total or 0, group_bytes)
     docs = docs.withColumn("digest", F.substring(F.unhex(F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256)), 1, 16))
     docs = docs.withColumn("p", F.pmod(F.xxhash64("doc_id"), F.lit(groups)))
     named = docs.filter("doc_id is not null").select("doc_id", "digest", "p")
-    first = named.groupBy("digest").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").drop("last")
-    copies = named.join(cut_lineage(first), "digest").filter("doc_id > first").select("p", "digest", "first").distinct()
+    first = named.groupBy("digest").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count(F.lit(1)).alias("copies")).filter("first < last").drop("last")
+    copies = join_spread(named, cut_lineage(first), ["digest"], "copies", rows).filter("doc_id > first").select("p", "digest", "first").distinct()
     blank = F.lit(None).cast("binary")
     note = lambda kind, b, x, y: [F.col("p"), F.lit(kind).alias("kind"), b.alias("b"), x.alias("x"), y.alias("y"), blank.alias("z")]
     copies = cut_lineage(copies.select(*note(0, F.lit(0).cast("long"), F.col("digest"), F.unhex(F.lpad(F.hex("first"), 16, "0")))))
     held = docs.groupBy("p")
     hashes = held.cogroup(copies.groupBy("p")).applyInPandas(_hashes(shards), _NOTE)
-    notes = copies.unionByName(hashes.groupBy("b").applyInPandas(_find_hot, _NOTE))
+    notes = copies.unionByName(hashes.groupBy("b").applyInPandas(_find_hot(fine), _NOTE))
     sent = docs.groupBy("p").cogroup(notes.groupBy("p")).applyInPandas(_send(shards), _NOTE)
-    found = notes.unionByName(sent.groupBy("b").applyInPandas(_order_shard, _NOTE))
+    found = notes.unionByName(sent.groupBy("b").applyInPandas(_order_shard(part_bytes), _NOTE))
     return docs.groupBy("p").cogroup(found.groupBy("p")).applyInPandas(_cut(shards), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
