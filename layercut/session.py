@@ -4,8 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no shared folder, as in tests.
-FALLBACK_CHECKPOINT_DIR = "/tmp/checkpoints/layercut"
+#: Used only in one process (local[...]) that names no shared folder, as in tests.
+LOCAL_CHECKPOINT_DIR = "/tmp/checkpoints/layercut"
 
 
 def local_session(cores: int = 8, shuffle_partitions: int = 8, name: str = "layercut") -> SparkSession:
@@ -23,12 +23,21 @@ def local_session(cores: int = 8, shuffle_partitions: int = 8, name: str = "laye
     )
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share: the checkpoint folder in use, or the one that spark.checkpoint.dir names. A cluster must name one."""
+    used = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if used.isDefined():
+        return used.get()
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named is None and not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    spark.sparkContext.setCheckpointDir(named or LOCAL_CHECKPOINT_DIR)
+    return spark.sparkContext._jsc.sc().getCheckpointDir().get()
+
+
 def cut_lineage(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder that the session names in spark.checkpoint.dir."""
-    spark = df.sparkSession
-    sc = spark.sparkContext
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_CHECKPOINT_DIR)
+    """Reliable checkpoint in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 

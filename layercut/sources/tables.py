@@ -21,7 +21,7 @@ def write_weights(weights: DataFrame, path: str) -> None:
 
 
 def read_layer(spark: SparkSession, path: str, layer: int | None = None) -> DataFrame:
-    df = spark.read.schema(WEIGHTS).parquet(path)
+    df = spark.read.schema(WEIGHTS).parquet(path).select("layer", "row", "col", "w")  # the layer comes from the folder, last
     return df if layer is None else df.filter(F.col("layer") == layer)
 
 

@@ -11,40 +11,40 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.listener import StreamingQueryListener
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import passes
 from ..operators.encode import EVENT_TYPES, event_neuron
 from ..operators.topology import Network
-from ..session import FALLBACK_CHECKPOINT_DIR
+from ..session import shared_folder
 from ..sources.versions import complete_steps, load_step, save_step
 
 EVENTS = "event_id BIGINT, ts TIMESTAMP, user_id BIGINT, event_type STRING, value DOUBLE, props STRING"
 
 
-def shared_folder(spark: SparkSession, name: str) -> str:
-    held = spark.sparkContext._jsc.sc().getCheckpointDir()
-    root = held.get() if held.isDefined() else spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_CHECKPOINT_DIR
-    return f"{root}/{name}-{uuid.uuid4().hex}"
+def new_folder(spark: SparkSession, name: str) -> str:
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def event_stream(spark: SparkSession, folder: str, pattern: str = "events.parquet", files: int = 1) -> DataFrame:
     return spark.readStream.schema(EVENTS).option("pathGlobFilter", pattern).option("maxFilesPerTrigger", files).parquet(folder)
 
 
-def rate_stream(spark: SparkSession, rows_per_second: int = 1000) -> DataFrame:
-    """Made-up events for load tests."""
-    r = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
-    kind = F.element_at(F.array(*map(F.lit, EVENT_TYPES)), (F.col("value") % len(EVENT_TYPES) + 1).cast("int"))
-    return r.select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), (F.col("value") % 100).alias("user_id"), kind.alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+def run_to_table(stream: DataFrame, mode: str) -> DataFrame:
+    """Replays what is there into the shared folder, a directory a batch id, and reads it: all batches, or the last one in complete mode."""
+    spark, out = stream.sparkSession, new_folder(stream.sparkSession, "sink")
+    wrote: list[int] = []
 
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
+        wrote.append(batch_id)
 
-def run_to_table(stream: DataFrame, mode: str) -> DataFrame:
-    """Replays what is there and returns the sink's rows; for results of bounded size."""
-    spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", shared_folder(spark, "stream")).trigger(availableNow=True).start()
+    q = stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", new_folder(spark, "stream")).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    if not wrote:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*[f"{out}/batch={k}" for k in (wrote if mode != "complete" else [max(wrote)])])
 
 
 def tumbling(events: DataFrame, size: str = "1 day", late: str = "1 hour") -> DataFrame:
@@ -84,6 +84,52 @@ def user_recency(events: DataFrame) -> DataFrame:
     return at.groupBy("user_id").applyInPandasWithState(update, "user_id long, events long, last_at long", "n long, last long", "update", GroupStateTimeout.NoTimeout)
 
 
+def idle_users(events: DataFrame, idle: str = "6 hours", late: str = "1 hour") -> DataFrame:
+    """(user_id, events, last_at): emitted once a user has been idle for so long in event time, and the state is then dropped."""
+    span = int(pd.Timedelta(idle).total_seconds() * 1000)
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            n, last = state.get
+            state.remove()
+            yield pd.DataFrame({"user_id": [key[0]], "events": [n], "last_at": [last]})
+            return
+        n, last = state.get if state.exists else (0, 0)
+        for b in batches:
+            n, last = n + len(b), max(last, int(b["at"].max()))
+        state.update((n, last))
+        state.setTimeoutTimestamp(max(1000 * last + span, state.getCurrentWatermarkMs() + 1))
+
+    at = events.withWatermark("ts", late).select("user_id", "ts", F.unix_timestamp("ts").alias("at"))
+    return at.groupBy("user_id").applyInPandasWithState(update, "user_id long, events long, last_at long", "n long, last long", "append", GroupStateTimeout.EventTimeTimeout)
+
+
+class Progress(StreamingQueryListener):
+    """Keeps rows read, rows dropped as late and batches of every query, by its name or id."""
+
+    def __init__(self):
+        self.read: dict[str, int] = {}
+        self.late: dict[str, int] = {}
+        self.batches: dict[str, int] = {}
+        self.ended: set[str] = set()
+
+    def onQueryStarted(self, event) -> None:
+        self.read.setdefault(event.name or str(event.id), 0)
+
+    def onQueryProgress(self, event) -> None:
+        p = event.progress
+        name = p.name or str(p.id)
+        self.read[name] = self.read.get(name, 0) + p.numInputRows
+        self.batches[name] = self.batches.get(name, 0) + 1
+        self.late[name] = self.late.get(name, 0) + sum(s.numRowsDroppedByWatermark for s in p.stateOperators)
+
+    def onQueryIdle(self, event) -> None:
+        pass
+
+    def onQueryTerminated(self, event) -> None:
+        self.ended.add(str(event.id))
+
+
 def window_vectors(events: DataFrame) -> DataFrame:
     """Inputs of closed windows of a day: x = 1 where the user did the type in the hour."""
     day = F.datediff(F.to_date("ts"), F.lit("2024-01-01")).cast("bigint")
@@ -93,12 +139,12 @@ def window_vectors(events: DataFrame) -> DataFrame:
 def stream_inference(events: DataFrame, net: Network, out: str | None = None) -> DataFrame:
     """(batch, vec_id, neuron, x): each micro-batch through all layers, written once per batch id."""
     spark = events.sparkSession
-    out = out or shared_folder(spark, "scores")
+    out = out or new_folder(spark, "scores")
 
     def score(batch: DataFrame, batch_id: int) -> None:
         passes.last_layer(net, window_vectors(batch)).select("vec_id", "neuron", "x").write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
 
-    q = events.writeStream.foreachBatch(score).option("checkpointLocation", shared_folder(spark, "stream")).trigger(availableNow=True).start()
+    q = events.writeStream.foreachBatch(score).option("checkpointLocation", new_folder(spark, "stream")).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.read.schema("vec_id BIGINT, neuron BIGINT, x DOUBLE, batch INT").parquet(out)
 
@@ -117,14 +163,6 @@ def online_train(events: DataFrame, net: Network, targets, root: str, eta: float
         if n:
             save_step(passes.step(at, x, targets(x), eta, n).weights, root, batch_id + 1)
 
-    q = events.writeStream.foreachBatch(train).option("checkpointLocation", shared_folder(spark, "stream")).trigger(availableNow=True).start()
+    q = events.writeStream.foreachBatch(train).option("checkpointLocation", new_folder(spark, "stream")).trigger(availableNow=True).start()
     q.awaitTermination()
     return net.with_weights(load_step(spark, root)[1])
-
-
-def observed_words(copies: DataFrame, name: str = "words"):
-    """Counts the routed copies that pass, by an observation: (frame, observation)."""
-    from pyspark.sql import Observation
-
-    o = Observation(name)
-    return copies.observe(o, F.count(F.lit(1)).alias("rows")), o
