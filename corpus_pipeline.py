@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from layercut.llm import mixing, near_dups, packing, secrets, toxicity
-from layercut.session import FALLBACK_CHECKPOINT_DIR
+from layercut.session import shared_folder
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,18 +38,27 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 STAGES = [("toxicity", drop_toxic), ("near_duplicates", drop_near_duplicates), ("secrets", mask_secrets), ("mixing", mix_sources), ("packing", pack_sequences)]
-#: Scores of learned models, minwise sketches and token ids are beyond SQL; tests compare each stage with a brute-force version.
+#: Scores of learned models, minwise sketches and token ids are beyond SQL; tests/llm/test_pipeline.py compares each stage with a
+#: version in plain Python over its own input.
 ORACLE_SQL = None
 
 
+def _remove(spark: SparkSession, folder: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; each but the last is written as Parquet in the shared folder and read again."""
-    shared = spark.sparkContext._jsc.sc().getCheckpointDir()
-    folder = f"{shared.get() if shared.isDefined() else spark.conf.get('spark.checkpoint.dir', None) or FALLBACK_CHECKPOINT_DIR}/pipeline-{uuid.uuid4().hex}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over documents; each but the last is written as Parquet in the shared folder and read again. A stage's input goes once its
+    output is written; the last one's stays, since the rows that are returned read it."""
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
             docs.write.parquet(f"{folder}/{k}-{name}")
             docs = spark.read.parquet(f"{folder}/{k}-{name}")
+            if before:
+                _remove(spark, before)
+            before = f"{folder}/{k}-{name}"
     return docs
