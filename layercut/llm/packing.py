@@ -25,8 +25,8 @@ from .common import cut_lineage, spread, table
 
 #: Capacity and the id that ends a document.
 CAPACITY, END_ID = 1024, 2
-#: Rows of a (length, bucket) group when pieces are ranked.
-RANK_ROWS = 512
+#: Rows of a (length, bucket) group when pieces are ranked; buckets of a stretch, whose counts one task adds up.
+RANK_ROWS, STRETCH = 512, 1 << 14
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -130,8 +130,11 @@ def pack(cut: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     buckets = spread(sum(counts.values()), RANK_ROWS)
     bins = spark.createDataFrame(plan_bins(counts, capacity) or [(0, 0, 0, 0, 1, 0)], "of long, first long, past long, sequence0 long, each long, offset0 long")
     keyed = cut.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(buckets)).cast("int"))
-    before = keyed.groupBy("length", "bucket").agg(F.count(F.lit(1)).alias("n"))
-    before = before.withColumn("ahead", F.sum("n").over(Window.partitionBy("length").orderBy("bucket")) - F.col("n")).drop("n")
+    before = keyed.groupBy("length", "bucket").agg(F.count(F.lit(1)).alias("n")).withColumn("stretch", F.floor(F.col("bucket") / STRETCH))
+    inside = F.sum("n").over(Window.partitionBy("length", "stretch").orderBy("bucket")) - F.col("n")
+    whole = before.groupBy("length", "stretch").agg(F.sum("n").alias("all"))
+    whole = whole.withColumn("ahead", F.sum("all").over(Window.partitionBy("length").orderBy("stretch")) - F.col("all"))  # a row per 8 million pieces
+    before = before.withColumn("inside", inside).join(whole, ["length", "stretch"]).select("length", "bucket", (F.col("ahead") + F.col("inside")).alias("ahead"))
     ranked = keyed.withColumn("nth", F.row_number().over(Window.partitionBy("length", "bucket").orderBy("doc_id", "piece", "ids_crc32")))
     ranked = ranked.join(before, ["length", "bucket"]).withColumn("rank", F.col("ahead") + F.col("nth") - 1)
     placed = ranked.join(F.broadcast(bins), (F.col("length") == F.col("of")) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("past")))  # a few thousand rows
