@@ -7,7 +7,7 @@ stem in a table that grows with the vocabulary: the models take the counts of th
 expressions unseen in both classes thus get the same probability twice. Below the word the
 spelling given the stem is the same in both models. A document's log-likelihood ratio is normalised by length, over the whole
 text and over its windows of a few words; a logistic curve, fitted on labelled documents that neither model has seen, maps these
-to a score. A word counts once a document.
+to a score. A word counts once a document. The word before as a further level was measured and left out (README).
 
 Defined results: null, empty and word-less texts have the ratios 0; repeated rows are scored alike; labels that contradict each
 other count as toxic; with one class or none labelled every score is 0; an empty table gives an empty result. Labels, lang, source
@@ -17,7 +17,6 @@ and doc_id are no inputs of a score.
 from __future__ import annotations
 
 import re
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -30,8 +29,8 @@ from .common import cut_lineage, table, words
 
 #: Bound of the sample: so many documents of either class teach the models and the curve.
 SAMPLE_DOCS = 3000
-#: Letters of a stem; words of the windows; hash buckets of shared counts that are handed in as an array; what counts of 1, and of more, give to the backoff.
-STEM, WINDOWS, SHARED_BUCKETS, DISCOUNTS = 4, (1, 6), 1 << 16, (1.0, 1.5)
+#: Letters of a stem; words of the windows; what counts of 1, and of more, give to the backoff.
+STEM, WINDOWS, DISCOUNTS = 4, (1, 6), (1.0, 1.5)
 THRESHOLD = 0.3
 _WORD = re.compile(r"[^\W_]+")
 
@@ -45,10 +44,6 @@ def remainder(doc_id):
     return F.crc32(doc_id.cast("string").cast("binary")) % 4
 
 
-def stem_bucket(stem: str, buckets: int) -> int:
-    return zlib.crc32(stem.encode("utf-8", "replace")) % buckets
-
-
 @dataclass
 class Shared:
     """Different words of the corpus by stem, for the stems that the models hold; total: all its words and stems, and one stem for the rest."""
@@ -60,16 +55,6 @@ class Shared:
         return self.counts.get(stem, 0) + 1
 
 
-class Hashed:
-    """The same from an array of counts by hash bucket."""
-
-    def __init__(self, counts: np.ndarray):
-        self.counts, self.total = counts, float(counts.sum() + len(counts))
-
-    def of(self, stem: str) -> float:
-        return self.counts[stem_bucket(stem, len(self.counts))] + 1
-
-
 def stem_table(docs: DataFrame) -> DataFrame:
     """(stem, n): how many different words of all documents begin so."""
     seen = docs.select(F.explode(word_column(F.col("text").cast("string"))).alias("word")).distinct()
@@ -85,6 +70,33 @@ def shared_counts(docs: DataFrame, counts: DataFrame) -> Shared:
     return Shared(dict(zip(found["stem"].to_pylist(), found["n"].to_pylist(), strict=True)), float((total["words"] or 0) + total["stems"] + 1))
 
 
+def off(n: int, discounts: tuple[float, float] = DISCOUNTS) -> float:
+    """What a count gives to the backoff."""
+    return min(n, discounts[n > 1])
+
+
+class ClassModel:
+    """Kneser-Ney probabilities of one class. counts: in how many documents a word stands; shared: corpus counts by stem."""
+
+    def __init__(self, counts: dict[str, int], shared: Shared):
+        self.counts, self.shared = counts, shared
+        self.mass = float(sum(counts.values()))
+        self.stems: dict[str, int] = {}
+        for word in counts:
+            self.stems[word[:STEM]] = self.stems.get(word[:STEM], 0) + 1
+        self.back = sum(map(off, counts.values())) / self.mass
+        self.stem_back = sum(map(off, self.stems.values())) / len(counts)
+
+    def stem(self, stem: str) -> float:
+        n = self.stems.get(stem, 0)
+        return (n - off(n)) / len(self.counts) + self.stem_back * self.shared.of(stem) / self.shared.total
+
+    def word(self, word: str) -> float:
+        """The spelling given the stem is one over the corpus' words of the stem and one for all others."""
+        n, stem = self.counts.get(word, 0), word[:STEM]
+        return (n - off(n)) / self.mass + self.back * self.stem(stem) / self.shared.of(stem)
+
+
 @dataclass
 class Ratios(dict):
     """Word -> log(toxic / ordinary). Words of neither class fall back to their stem, unseen stems to a constant."""
@@ -96,31 +108,14 @@ class Ratios(dict):
         return self.stems.get(word[:STEM], self.unseen)
 
 
-def learn(toxic: dict[str, int], ordinary: dict[str, int], shared: Shared | np.ndarray, discounts: tuple[float, float] = DISCOUNTS) -> Ratios:
-    """toxic, ordinary: in how many documents of either class a word stands."""
-    off = lambda n: min(n, discounts[n > 1])
-    known = Hashed(shared) if isinstance(shared, np.ndarray) else shared
-    share = lambda stem: known.of(stem) / known.total
-    mass, kinds, back, stem_back = [], [], [], []
-    for counts in (toxic, ordinary):
-        n, by = float(sum(counts.values())), {}
-        for word in counts:
-            by[word[:STEM]] = by.get(word[:STEM], 0) + 1
-        mass.append(n)
-        kinds.append(by)
-        back.append(sum(map(off, counts.values())) / n)
-        stem_back.append(sum(map(off, by.values())) / len(counts))
-    stem_p = lambda c, stem: (kinds[c].get(stem, 0) - off(kinds[c].get(stem, 0))) / sum_kinds[c] + stem_back[c] * share(stem)
-    sum_kinds = [float(len(toxic)), float(len(ordinary))]
+def learn(toxic: ClassModel, ordinary: ClassModel) -> Ratios:
+    ratio = lambda a, b: float(np.log(a) - np.log(b))
     out = Ratios()
-    for stem in {*kinds[0], *kinds[1]}:
-        out.stems[stem] = float(np.log(back[0] * stem_p(0, stem)) - np.log(back[1] * stem_p(1, stem)))
-    for word in {*toxic, *ordinary}:
-        stem = word[:STEM]
-        spelling = 1.0 / known.of(stem)
-        p = [(counts.get(word, 0) - off(counts.get(word, 0))) / mass[c] + back[c] * stem_p(c, stem) * spelling for c, counts in enumerate((toxic, ordinary))]
-        out[word] = float(np.log(p[0]) - np.log(p[1]))
-    out.unseen = float(np.log(back[0] * stem_back[0]) - np.log(back[1] * stem_back[1]))
+    for stem in {*toxic.stems, *ordinary.stems}:  # of words that neither class holds: their spelling is the same in both
+        out.stems[stem] = ratio(toxic.back * toxic.stem(stem), ordinary.back * ordinary.stem(stem))
+    for word in {*toxic.counts, *ordinary.counts}:
+        out[word] = ratio(toxic.word(word), ordinary.word(word))
+    out.unseen = ratio(toxic.back * toxic.stem_back, ordinary.back * ordinary.stem_back)
     return out
 
 
@@ -177,7 +172,8 @@ def train(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) ->
         split[toxic][word] = n
     if not split[0] or not split[1]:
         return Scorer(Ratios(), None)
-    model = learn(split[1], split[0], shared_counts(docs, counts))
+    shared = shared_counts(docs, counts)
+    model = learn(ClassModel(split[1], shared), ClassModel(split[0], shared))
     shipped = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample
 
     def measure(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

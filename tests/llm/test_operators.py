@@ -7,9 +7,11 @@ import re
 import time
 import zlib
 from collections import Counter
+from fractions import Fraction
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from layercut.llm import mixing, near_dups, packing, page_text, quality, repeats, secrets, topk, toxicity, url_rules
 
@@ -166,10 +168,43 @@ def test_toxicity(spark, sf, none):
     assert docs.filter(toxicity.remainder(docs.doc_id) == zlib.crc32(b"7") % 4).filter("doc_id = 7").count() == 1
 
 
-def test_stems_carry_unseen_words():
-    shared = np.ones(toxicity.SHARED_BUCKETS)
-    model = toxicity.learn({"aaaa": 5, "ccccx": 2, "ccccy": 2, "ccccz": 1}, {"aaaa": 1, "bbbb": 4, "bbbbx": 1, "bbbby": 3}, shared)
-    assert model["aaaa"] > model["bbbb"] and model["ccccnew"] > model["bbbbnew"] and model["zzzz"] == model["yyyy"]
+def test_probabilities_by_hand():
+    """Every level from its definition, in fractions; the words of the corpus and one spelling a stem for all others add up to 1."""
+    corpus = ["aaaax", "aaaay", "aaaaz", "bbbb", "bbbbq", "cc", "dddddd"]
+    stems = {w[:4] for w in corpus}
+    shared = toxicity.Shared({s: sum(w[:4] == s for w in corpus) for s in stems}, len(corpus) + len(stems) + 1)
+    give = lambda n: min(Fraction(n), Fraction(1) if n < 2 else Fraction(3, 2))
+    counts = {"toxic": {"aaaax": 3, "aaaay": 1, "cc": 2}, "ordinary": {"aaaaz": 1, "bbbb": 5, "bbbbq": 2}}
+    exact = {}
+    for name, n in counts.items():
+        kinds = Counter(w[:4] for w in n)
+        back, stem_back = sum(map(give, n.values())) / sum(n.values()), sum(map(give, kinds.values())) / len(n)
+        stem = lambda s, k=kinds, n=n, b=stem_back: (k[s] - give(k[s])) / Fraction(len(n)) + b * Fraction(shared.counts.get(s, 0) + 1, len(corpus) + len(stems) + 1)
+        word = lambda w, n=n, back=back, stem=stem: (n.get(w, 0) - give(n.get(w, 0))) / Fraction(sum(n.values())) + back * stem(w[:4]) / (shared.counts.get(w[:4], 0) + 1)
+        model = toxicity.ClassModel(n, shared)
+        exact[name] = {w: word(w) for w in [*corpus, *(s + "?" for s in stems), "????"]}
+        assert all(model.word(w) == pytest.approx(float(p), rel=1e-12) for w, p in exact[name].items())
+        assert sum(exact[name].values()) == 1
+    ratios = toxicity.learn(*(toxicity.ClassModel(n, shared) for n in counts.values()))
+    for w in [*corpus, "aaaa?", "zzzz"]:  # a stem that the corpus lacks is as unlikely in both
+        p = {k: v.get(w, v["????"]) for k, v in exact.items()}
+        if w != "dddddd":
+            assert ratios[w] == pytest.approx(math.log(p["toxic"] / p["ordinary"]), rel=1e-9)
+    text = "Aaaax, bbbb?! cc aaaa"
+    r = [ratios[w] for w in ("aaaax", "bbbb", "cc", "aaaa")]
+    assert toxicity.ratios_of(text, ratios) == pytest.approx((sum(r) / 4, max(r), sum(r) / 6))  # a window that the text does not fill is divided by its full length
+    scorer = toxicity.Scorer(ratios, np.array([0.1, 2.0, 0.5, -0.25]))
+    assert scorer.score(text) == pytest.approx(1 / (1 + math.exp(-(0.1 + 2 * sum(r) / 4 + 0.5 * max(r) - 0.25 * sum(r) / 6))))
+
+
+def test_toxicity_on_odd_rows(spark, odd, none):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.001/labels.parquet")
+    scorer = toxicity.train(docs, labels.unionByName(labels.limit(3)).withColumn("toxic", F.coalesce("toxic", F.lit(0))))
+    got = toxicity.score_documents(odd.withColumn("word", F.lit("clash")).withColumn("tox", F.lit(1)), scorer)
+    rows = got.collect()
+    assert len(rows) == odd.count() and all(r["tox_score"] == pytest.approx(scorer.score(r["text"])) for r in rows)
+    assert toxicity.score_documents(none, toxicity.train(none, labels)).count() == 0
 
 
 def test_shared_counts_are_exact(spark):
