@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import portable_hash
 from ..operators import encode, passes, topology
-from ..operators.partition import random_parts
+from ..operators.partition import random_parts, with_inputs
+from ..operators.routes import send_map
 from ..plans import inference
 from ..plans.sharded import Sharded, all_links, backward_sharded, forward_sharded, partials_by_part
-from ..sources.generators import init_weights, mixed_radix
+from ..sources.generators import init_weights, mixed_radix, register_generators
 from ..session import cut_lineage
 from ..sources.tables import read_table
 from .base import H, RADIX, SEED, TRADE, TRADE_EDGES, TRADE_NEURONS, TRADE_X, TRADE_Y, P, forward_sql, query, r6, radix_sql
@@ -273,14 +275,35 @@ def _(spark, d):
     return a.join(b, ["vec_id", "neuron"], "full").agg(F.count_if(far).alias("differing"))
 
 
-@query("sparse_vs_dense_forward", "SELECT 0::BIGINT AS differing")
+@query("sparse_vs_dense_forward", "SELECT 0::BIGINT AS differing, (SELECT count(*) * 64 FROM embeddings) AS compared")
 def _(spark, d):
-    net = topology.radix_network(spark, 16, 3, 4, "sigmoid")
-    x = images(spark, d).filter("vec_id < 20 and neuron < 16")  # the dense twin is quadratic: a fixture
+    """All images through a network of their own width, its absent links once left out and once held as zeros."""
+    net = topology.radix_network(spark, 64, 2, 8, "sigmoid")
+    x = images(spark, d, 8)
     vs = x.select("vec_id").distinct()
     a = passes.last_layer(net, x, vs).select("vec_id", "neuron", "x")
     b = passes.dense_forward(net, x, vs).withColumnRenamed("x", "dense")
-    return a.join(b, ["vec_id", "neuron"], "full").agg(F.count_if(F.coalesce(F.abs(F.col("x") - F.col("dense")) > 1e-9, F.lit(True))).alias("differing"))
+    far = F.coalesce(F.abs(F.col("x") - F.col("dense")) > 1e-9, F.lit(True))
+    return a.join(b, ["vec_id", "neuron"], "full").agg(F.count_if(far).alias("differing"), F.count(F.lit(1)).alias("compared"))
+
+
+@query("weight_medians_pandas", f"WITH {radix_sql(*RADIX)} SELECT layer, median(w) AS median_w FROM rw GROUP BY 1")
+def _(spark, d):
+    """A grouped aggregate that Spark runs in pandas."""
+
+    @F.pandas_udf("double")
+    def median(w: pd.Series) -> float:
+        return float(w.median())
+
+    return topology.radix_network(spark, *RADIX).weights.groupBy("layer").agg(median("w").alias("median_w"))
+
+
+@query("layer_fans_table_function", f'WITH {radix_sql(*RADIX)}, f AS (SELECT layer, "row", count(*) AS n FROM rw GROUP BY 1, 2) SELECT layer, sum(n)::BIGINT AS links, max(n)::BIGINT AS widest FROM f GROUP BY 1')
+def _(spark, d):
+    """A table function over a table argument, a partition a layer."""
+    register_generators(spark)
+    topology.radix_network(spark, *RADIX).weights.select("layer", "row").createOrReplaceTempView("fan_links")
+    return spark.sql("SELECT * FROM layer_fans(TABLE(fan_links) PARTITION BY layer ORDER BY row)")
 
 
 # ---- backward
@@ -364,15 +387,6 @@ def _(spark, d):
     return passes.step(image_net(spark, "sigmoid"), x, digits(spark, d), ETA, n, batch_rule="averaged_delta").weights.select("layer", "row", "col", F.round("w", 8).alias("w"))
 
 
-@query("sgd_two_vectors_sequential")
-def _(spark, d):
-    from ..plans.trainer import RunConfig, train_sequential
-
-    x, y = images(spark, d), digits(spark, d)
-    two = F.col("vec_id") < 2  # the loop of the sequential definition, two steps of it
-    return train_sequential(image_net(spark, "sigmoid"), x.filter(two), y.filter(two), RunConfig(eta=ETA)).weights
-
-
 @query("sharded_step", f'{IMG_PASSES}, {update_sql("rw", L8, "ix")} SELECT layer, "row", col, round(w, 6) AS w FROM nw')
 def _(spark, d):
     net, x = image_net(spark, "sigmoid"), images(spark, d)
@@ -413,9 +427,8 @@ def _(spark, d):
 @query("block_inference", f"{IMG_CTES}, {forward_sql('rw', 'rn', 'ix', L8, 'sigmoid')} SELECT vec_id, neuron, round(x, 6) AS x FROM a{L8}")
 def _(spark, d):
     net, x = image_net(spark, "sigmoid"), images(spark, d)
-    sh = Sharded.of(net, random_parts(net.neurons, P, SEED), P)
-    vectors = [r[0] for r in x.select("vec_id").distinct().orderBy("vec_id").collect()]  # the batch
-    return inference.infer_blocks(net, x, sh.parts, sh.routes, vectors).select("vec_id", "neuron", r6("x").alias("x"))
+    full = cut_lineage(with_inputs(net, random_parts(net.neurons, P, SEED), P))
+    return inference.infer_blocks(net, x, full, cut_lineage(send_map(net.weights, full)), P).select("vec_id", "neuron", r6("x").alias("x"))
 
 
 _LABELS = f"{IMG_CTES}, {forward_sql('rw', 'rn', 'ix', L8, 'sigmoid')}, lb AS (SELECT vec_id, neuron AS predicted FROM (SELECT vec_id, neuron, row_number() OVER (PARTITION BY vec_id ORDER BY round(x, 9) DESC, neuron) AS nth FROM a{L8} WHERE neuron < 10) WHERE nth = 1)"

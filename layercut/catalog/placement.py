@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators import cut_aware, measures, partition, routes, topology
+from ..operators.encode import trade_months
 from ..plans import inference
+from ..plans.sharded import Sharded, forward_sharded, placed_inputs, returned_sums
+from ..session import cut_lineage, cut_placed
 from .base import RADIX, SEED, TRADE, TRADE_NEURONS, H, P, parts_sql, query, r6, radix_sql, routes_sql
 from .network import RN, images
 
@@ -343,10 +346,20 @@ def _(spark, d):
     return measures.locality(net.weights, parts)
 
 
-@query("sync_count", "SELECT 4 AS forward, 2 * 4 AS both_passes")
+@query("sync_count", "SELECT max(layer)::INTEGER AS forward, 2 * max(layer)::INTEGER - 1 AS both_passes FROM (SELECT unnest([1, 2, 3, 4]) AS layer)")
 def _(spark, d):
-    """Exchanges that the sharded plan adds to a step: one a layer and pass. Counted on the plan in tests; the closed form here."""
-    return spark.range(1).select(F.lit(4).alias("forward"), F.lit(2 * 4).alias("both_passes"))
+    """Exchanges in the plans of a step on placed data, counted: one a layer forward, and one a layer but the first backward."""
+    net = topology.trade_network(spark, d)
+    sh = Sharded.of(net, partition.random_parts(net.neurons, P, SEED), P)
+    x = trade_months(spark, d)
+    vs = cut_lineage(x.select("vec_id").distinct())
+    forward = measures.exchanges(forward_sharded(sh, x, vs)) - measures.exchanges(placed_inputs(sh, x))
+    backward = 0
+    for k in range(2, net.depth + 1):
+        some = cut_placed(sh.weights(k).select("part", "row", "col", F.lit(0).cast("bigint").alias("vec_id"), "w", F.lit(1.0).alias("delta")))
+        before = cut_placed(sh.neurons(k - 1).select("part", "neuron", F.lit(0).cast("bigint").alias("vec_id"), F.lit(0.0).alias("z"), F.lit(0.5).alias("x")))
+        backward += measures.exchanges(returned_sums(sh, some, before, k))
+    return spark.range(1).select(F.lit(forward).alias("forward"), F.lit(forward + backward).alias("both_passes"))
 
 
 @query("break_even_vectors", "SELECT round(423.17 / ((2142.73 - 571.24) / 1000), 3) AS large, round(2.48 / ((156.34 - 95.22) / 1000), 3) AS small")

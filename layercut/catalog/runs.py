@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..operators import partition, topology
-from ..plans import barrier, trainer, workloads
+from ..plans import trainer, workloads
+from ..session import cut_lineage
 from ..streaming import events as S
 from .base import SEED, P, forward_sql, query, r6, radix_sql
 from .network import IMG_CTES, L8, RN, digits, image_net, images
@@ -57,7 +59,7 @@ def _(spark, d):
 
 @query("workload_communication")
 def _(spark, d):
-    return workloads.communication_table(spark, (256,), (4, 8), layers=4)
+    return workloads.communication_table(spark, (256, 1024), (4, 16), layers=6)
 
 
 @query("workload_random_row_matches", "SELECT p::INTEGER AS parts, true AS words_match, true AS messages_match, true AS imbalance_match FROM (VALUES (32), (64), (128)) AS t(p)")
@@ -71,11 +73,6 @@ def _(spark, d):
     return spark.createDataFrame(rows, "parts int, words_match boolean, messages_match boolean, imbalance_match boolean")
 
 
-@query("workload_vector_times")
-def _(spark, d):
-    return workloads.vector_times(spark, d, ps=(2,), vectors=1)
-
-
 @query("workload_inference")
 def _(spark, d):
     return workloads.inference_table(spark, d)
@@ -83,18 +80,26 @@ def _(spark, d):
 
 @query("workload_partition_times")
 def _(spark, d):
-    return spark.createDataFrame(workloads.partition_times((256,), (4, 8)), "neurons int, p int, seconds double, cut_ratio double")
+    return workloads.partition_grid(spark)
 
 
-@query("barrier_forward", f"{IMG_CTES}, {forward_sql('rw', 'rn', 'ix', L8, 'sigmoid')} SELECT vec_id, neuron, round(x, 6) AS x FROM a{L8} WHERE vec_id < 4")
+@query("workload_partition_trends", """SELECT n AS neurons, k AS layers, p, n * k AS placed, true AS balanced, true AS halved, true AS grows_with_p, true AS grows_with_layers
+FROM (VALUES (256), (1024)) AS a(n), (VALUES (2), (6)) AS b(k), (VALUES (4), (8), (16)) AS c(p)""")
 def _(spark, d):
-    """The emulation of message passing over its first vectors: payloads pass the driver, so it takes a fixed few."""
-    net = image_net(spark, "sigmoid")
-    x = images(spark, d).filter("vec_id < 4").toPandas()
-    given = [({int(n): float(v) for n, v in zip(g["neuron"], g["x"], strict=True)}, {}) for _, g in x.groupby("vec_id")]
-    full = partition.with_inputs(net, partition.random_parts(net.neurons, 2, SEED), 2)
-    out = barrier.train_barrier(net, full, 2, given, train=False).filter("kind = 'output'")
-    return out.select(F.col("layer").cast("bigint").alias("vec_id"), F.col("row").alias("neuron"), r6("value").alias("x"))
+    """Each partitioning places every row once and within the capacity, at under half of random placement's words; words grow with parts and layers."""
+    t = cut_lineage(workloads.partition_grid(spark))
+    more = Window.partitionBy("neurons", "layers").orderBy("p")
+    deep = Window.partitionBy("neurons", "p").orderBy("layers")
+    grows = lambda w: F.coalesce(F.col("cut") >= F.lag("cut").over(w), F.lit(True))
+    return t.select("neurons", "layers", "p", "placed", (F.col("heaviest") <= F.col("capacity")).alias("balanced"), (F.col("ratio") < 0.5).alias("halved"), grows(more).alias("grows_with_p"), grows(deep).alias("grows_with_layers"))
+
+
+@query("workload_cut_aware_rows", "SELECT p::INTEGER AS p, placed::BIGINT AS placed, true AS balanced, true AS below_published FROM (VALUES (32, 12288), (64, 12288), (128, 12288)) AS t(p, placed)")
+def _(spark, d):
+    """1,024 neurons, 32 inputs, 12 layers on 32 to 128 parts: words as a share of random placement's, against the published shares."""
+    t = workloads.partition_grid(spark, (1024,), (32, 64, 128), (12,), 32)
+    published = F.element_at(F.create_map(*[F.lit(v) for pair in ((32, 0.34), (64, 0.31), (128, 0.29)) for v in pair]), F.col("p"))
+    return t.select("p", "placed", (F.col("heaviest") <= F.col("capacity")).alias("balanced"), (F.col("ratio") <= published).alias("below_published"))
 
 
 @query("train_sharded_batches")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from contextlib import contextmanager
+
 from pyspark.sql import DataFrame, SparkSession
 
 #: Used only in one process (local[...]) that names no shared folder, as in tests.
@@ -41,15 +43,20 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def cut_placed(df: DataFrame) -> DataFrame:
-    """cut_lineage() that keeps how df is partitioned, so that later joins on the placement add no exchange.
-
-    The plan is made without adaptive execution, which may coalesce partitions and thus reports none; the setting is put back.
-    """
-    conf, name = df.sparkSession.conf, "spark.sql.adaptive.enabled"
-    before = conf.get(name)
-    conf.set(name, "false")
+@contextmanager
+def keeping_placement(spark: SparkSession):
+    """Plans made inside keep how their rows are partitioned: adaptive execution, which may coalesce partitions and thus reports none, is
+    off, and as it was before afterwards."""
+    name = "spark.sql.adaptive.enabled"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "false")
     try:
-        return cut_lineage(df)
+        yield
     finally:
-        conf.set(name, before)
+        spark.conf.set(name, before)
+
+
+def cut_placed(df: DataFrame) -> DataFrame:
+    """cut_lineage() that keeps how df is partitioned, so that later joins on the placement add no exchange."""
+    with keeping_placement(df.sparkSession):
+        return cut_lineage(df)

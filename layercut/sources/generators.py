@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -72,7 +72,7 @@ class MixedRadixSource(DataSource):
 
 
 def register_generators(spark: SparkSession) -> None:
-    """The data source, and the table function mixed_radix_rows(neurons, degree, stride)."""
+    """The data source, and the table functions mixed_radix_rows(neurons, degree, stride) and layer_fans(TABLE(links))."""
     from pyspark.sql.functions import udtf
 
     spark.dataSource.register(MixedRadixSource)
@@ -84,4 +84,21 @@ def register_generators(spark: SparkSession) -> None:
                 for n in range(degree):
                     yield r, (r + n * stride) % neurons
 
+    @udtf(returnType="layer int, links bigint, widest bigint")
+    class LayerFans:
+        """Links of a layer and the most that one row has, from a table argument in the order of rows."""
+
+        def __init__(self):
+            self.layer, self.row, self.links, self.run, self.widest = None, None, 0, 0, 0
+
+        def eval(self, link: Row):
+            self.layer, self.links = link["layer"], self.links + 1
+            self.run = self.run + 1 if link["row"] == self.row else 1
+            self.row, self.widest = link["row"], max(self.widest, self.run)
+
+        def terminate(self):
+            if self.links:
+                yield self.layer, self.links, self.widest
+
     spark.udtf.register("mixed_radix_rows", RadixRows)
+    spark.udtf.register("layer_fans", LayerFans)

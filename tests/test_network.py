@@ -4,11 +4,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from layercut.functions.activation import activate
 from layercut.operators import cut_aware, measures, partition, passes, routes, topology
 from layercut.operators.solver import graph_of, solve_chain
 from layercut.plans import barrier, inference, trainer, workloads
 from layercut.plans.local import LocalNetwork, brute_force_partition
-from layercut.plans.sharded import Sharded, _copies, _returned, all_links, backward_sharded, forward_sharded, placed_inputs
+from layercut.plans.sharded import Sharded, _copies, returned_sums, all_links, backward_sharded, forward_sharded, placed_inputs
 from layercut.session import cut_lineage, cut_placed
 
 W = [(1, 1, 2, 0.5), (1, 1, 4, -0.25), (1, 2, 1, 0.25), (1, 2, 2, -0.5), (1, 2, 3, 0.75), (1, 3, 1, -1.0), (1, 3, 3, 0.5), (1, 4, 3, 0.25), (1, 4, 4, 0.5)]
@@ -121,12 +122,42 @@ def test_one_exchange_a_layer(spark, tiny, parts, vectors):
         out, acts, held = forward_sharded(sh, x, vs, keep=True)
         d = cut_placed(out.select("part", "vec_id", F.col("neuron").alias("row"), F.col("x").alias("delta")))
         links = sh.weights(2).hint("merge").join(d, ["part", "row"])
-        assert measures.exchanges(links) == 0 and measures.exchanges(_returned(sh, links, acts[1], 2)) == 1
+        assert measures.exchanges(links) == 0 and measures.exchanges(returned_sums(sh, links, acts[1], 2)) == 1
         met = links.hint("merge").join(held[2].withColumnRenamed("neuron", "col"), ["part", "vec_id", "col"])
         assert measures.exchanges(met.groupBy("part", "row", "col").agg(F.sum("x"))) == 0
         sh = sh.with_links(backward_sharded(sh, x, y, vs, 0.01)[1])
 
 
+def test_update_beside_messages(spark, tiny, parts, vectors):
+    x, y = vectors
+    sh, vs = Sharded.of(tiny, parts, 2), x.select("vec_id").distinct()
+    one, two = (values(all_links(backward_sharded(sh, x, y, vs, 0.01, overlap=o)[1]), "layer", "row", "col") for o in (False, True))
+    assert one.keys() == two.keys() and all(one[k]["w"] == two[k]["w"] for k in one)
+    assert spark.conf.get("spark.sql.adaptive.enabled") == "true"
+
+
+def test_worked_cut_net(spark):
+    """One net: owned by part 0, read by rows in parts 2, 1, 1 and 0: three parts, two words a pass, one pre-summed value back from part 1."""
+    weights = spark.createDataFrame([(1, r, 7, 0.5) for r in (2, 3, 4, 5)], "layer int, row long, col long, w double")
+    full = spark.createDataFrame([(1, 2, 2), (1, 3, 1), (1, 4, 1), (1, 5, 0), (0, 7, 0)], "layer int, neuron long, part int")
+    assert measures.connectivity(weights, full).first()["lam"] == 3 and measures.cut_size(weights, full).first()["cut"] == 4
+    r = routes.send_map(weights, full)
+    assert measures.volume_by_layer(r, 1).first()["words"] == 2 and measures.volume_by_layer(r).first()["words"] == 4
+    assert {(m["pass"], m["src"], m["dst"], m["words"]) for m in routes.message_sizes(r).collect()} == {("fwd", 0, 1, 1), ("fwd", 0, 2, 1), ("bwd", 1, 0, 1), ("bwd", 2, 0, 1)}
+
+
+def test_barrier_step_times(spark):
+    """The workload of step times at a size that one task a part emulates: all columns filled, speedup of random over itself 1."""
+    t = workloads.step_table(spark, "/root/testdata/sf0.001", ps=(1, 2), neurons=64, layers=2, degree=8, vectors=1).toPandas()
+    assert len(t) == 4 and (t.loc[t.scheme == "random", "speedup"] == 1).all() and (t.loc[t.p == 1, "efficiency"] == 1).all()
+    assert np.allclose(t["ms"], t["product"] + t["update"] + t["comm"])
+
+
+def test_capped_rectifier(spark):
+    got = spark.createDataFrame([(-1.0,), (2.0,), (40.0,)], "z double").select(activate(F.col("z"), "capped_relu").alias("x")).collect()
+    assert [r["x"] for r in got] == [0.0, 2.0, 32.0]
+
+
 def test_batch_rules_agree_for_one_vector(tiny, vectors):
     x, y = vectors
     a = values(passes.step(tiny, x, y, 0.01).weights, "layer", "row", "col")
@@ -138,7 +169,7 @@ def test_blocks_and_replicas(spark, tiny, parts, vectors):
     x, y = vectors
     plain = values(passes.last_layer(tiny, x), "neuron")
     sh = Sharded.of(tiny, parts, 2)
-    for out in (inference.infer_replicated(tiny, x), inference.infer_blocks(tiny, x, sh.parts, sh.routes, [0])):
+    for out in (inference.infer_replicated(tiny, x), inference.infer_blocks(tiny, x, sh.parts, sh.routes, 2)):
         got = values(out, "neuron")
         assert all(abs(got[n]["x"] - plain[n]["x"]) < 1e-12 for n in plain)
     rep = values(trainer.train_replicated(tiny, x, y, trainer.RunConfig()).weights, "layer", "row", "col")
