@@ -49,7 +49,7 @@ MORE = [
     Rule("code_host", "gh[pousr]_[A-Za-z0-9]{36,}"),
     Rule("chat_token", "xox[abprs]-[A-Za-z0-9-]{10,}"),
     Rule("signed_token", "eyJ[A-Za-z0-9_-]{8,}\\.eyJ[A-Za-z0-9_-]{8,}\\.[A-Za-z0-9_-]{8,}"),
-    Rule("url_login", "://[^\\x00-\\x20/:@\"'<>]{1,200}:[^\\x00-\\x20/:@\"'<>]{1,200}@"),
+    Rule("url_login", "://[^\\x00-\\x20/:@\"'<>]+:[^\\x00-\\x20/:@\"'<>]+@"),
     Rule("cloud_key", "AIza[0-9A-Za-z_-]{35,}"),
 ]
 RULES = BASE + MORE
@@ -208,34 +208,41 @@ def _joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
 
 
-def scan(docs: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
-    """docs and secret_spans: structs (start, nth, kind, end, size) in the order of start, then rule."""
+def _scanned(docs: DataFrame, rules: list[Rule]) -> DataFrame:
+    """scan_row (all columns of docs as one, so that no name clashes) and scan_spans."""
     queries = {i: trigram_query(r.pattern) for i, r in enumerate(rules)}
     trigrams = sorted({t for q in queries.values() if q for c in q for t in c})
     source = docs.select(F.col("text").cast("string").alias("text"))
     found = candidates(build_index(source, trigrams), {i: q for i, q in queries.items() if q}, trigrams)
     found = cut_lineage(found.select(F.col("key").alias("scan_found"), F.col("wanted").alias("scan_wanted")))
-    df = docs.withColumn("scan_text", F.coalesce(F.col("text").cast("string"), F.lit(""))).withColumn("scan_key", F.xxhash64(F.col("text").cast("string")))
+    text = F.col("text").cast("string")
+    df = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("scan_row"), F.coalesce(text, F.lit("")).alias("scan_text"), F.xxhash64(text).alias("scan_key"))
     df = df.join(found, F.col("scan_key") == F.col("scan_found"), "left")
     for i, rule in enumerate(rules):
         df = _spans(df, i, rule, F.lit(True) if queries[i] is None else F.coalesce(F.col("scan_wanted").bitwiseAND(1 << i) != 0, F.lit(False)))
-    df = df.withColumn("secret_spans", F.sort_array(F.concat(*[F.col(f"scan_s{i}") for i in range(len(rules))])))
-    return df.drop("scan_text", "scan_key", "scan_found", "scan_wanted", *[f"scan_s{i}" for i in range(len(rules))])
+    return df.select("scan_row", F.sort_array(F.concat(*[F.col(f"scan_s{i}") for i in range(len(rules))])).alias("scan_spans"))
+
+
+def scan(docs: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
+    """docs and secret_spans: structs (start, nth, kind, end, size) in the order of start, then rule. A column secret_spans of docs is replaced."""
+    df = _scanned(docs, rules)
+    return df.select(*[F.col("scan_row")[c].alias(c) for c in docs.columns if c != "secret_spans"], F.col("scan_spans").alias("secret_spans"))
 
 
 def redact(docs: DataFrame, rules: list[Rule] = RULES, mark: str = "[secret]") -> DataFrame:
     """docs with every span's characters replaced by mark; touching and overlapping spans become one mark. Other columns stay."""
-    df = scan(docs, rules).withColumn("scan_cuts", F.aggregate(
-        "secret_spans", F.array().cast("array<struct<a:int,b:int>>"),
+    df = _scanned(docs, rules).withColumn("scan_cuts", F.aggregate(
+        "scan_spans", F.array().cast("array<struct<a:int,b:int>>"),
         lambda done, x: F.when(
             F.coalesce(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["b"] >= x["start"], F.lit(False)),
             F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["a"].alias("a"), F.greatest(F.element_at(F.concat(F.array(F.struct(F.lit(-1).alias("a"), F.lit(-1).alias("b"))), done), -1)["b"], x["end"]).alias("b")))),
         ).otherwise(F.concat(done, F.array(F.struct(x["start"].alias("a"), x["end"].alias("b"))))),
     ))
-    piece = F.transform("scan_cuts", lambda c, i: F.concat(F.substring(F.col("text"), F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0)) + 1, c["a"] - F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0))), F.lit(mark)))
+    text = F.col("scan_row")["text"].cast("string")
+    piece = F.transform("scan_cuts", lambda c, i: F.concat(F.substring(text, F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0)) + 1, c["a"] - F.coalesce(F.get("scan_cuts", i - 1)["b"], F.lit(0))), F.lit(mark)))
     last = F.element_at("scan_cuts", -1)["b"]
-    clean = F.when(F.size("scan_cuts") > 0, F.concat(F.array_join(piece, ""), F.substring(F.col("text"), last + 1, F.length("text")))).otherwise(F.col("text"))
-    return df.withColumn("text", clean).select(*[F.col(f"`{c}`") for c in docs.columns])
+    clean = F.when(F.size("scan_cuts") > 0, F.concat(F.array_join(piece, ""), F.substring(text, last + 1, F.length(text)))).otherwise(F.col("scan_row")["text"])
+    return df.select(*[(clean if c == "text" else F.col("scan_row")[c]).alias(c) for c in docs.columns])
 
 
 def op1_secrets(spark, sf_dir: str) -> DataFrame:

@@ -51,6 +51,15 @@ def test_secrets(odd, none):
     assert secrets.redact(odd).columns == odd.columns
 
 
+def test_secrets_keep_clashing_columns_and_long_logins(spark):
+    text = "see ://" + "u" * 300 + ":" + "p" * 400 + "@host and " + KEY
+    docs = spark.createDataFrame([(1, text, "own", "cuts", 5), (2, None, "x", None, None)], "doc_id long, text string, secret_spans string, scan_cuts string, scan_key int")
+    got = {r["doc_id"]: r.asDict() for r in secrets.redact(docs).collect()}
+    assert got[1] == {"doc_id": 1, "text": 'see [secret]host and [secret]"', "secret_spans": "own", "scan_cuts": "cuts", "scan_key": 5} and got[2]["text"] is None
+    out = {r["doc_id"]: r for r in secrets.scan(docs).collect()}
+    assert [s["kind"] for s in out[1]["secret_spans"]] == ["url_login", "assign"] and out[1]["scan_cuts"] == "cuts"
+
+
 def test_trigram_queries_are_sound():
     assert secrets.trigram_query("[0-9a-f]{32,}") is None
     assert secrets.trigram_query("AKIA[A-Z0-9]+") == [frozenset({"aki", "kia"})]
@@ -463,6 +472,31 @@ def test_quality(odd, none):
     assert quality.judge(none).count() == 0
 
 
+def test_quality_verdicts_by_hand(spark):
+    """The whole verdict over a table: votes from the counts in plain Python, expectation-maximisation document by document in NumPy."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    rows = quality.judge(docs).toPandas()
+    n, chars, symbols, lines, repeats = (rows[c].to_numpy() for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"))
+    made = {
+        "symbols": (symbols * 100 <= n, symbols * 10 > n), "lines": (lines == 0, lines >= 4), "repeats": (repeats * 100 <= 10 * n, repeats * 100 > 30 * n),
+        "word_length": ((chars >= 3 * n) & (chars <= 10 * n), (chars < 2 * n) | (chars > 14 * n)), "substance": (chars >= 500, chars < 150),
+    }
+    assert set(made) <= set(quality.rules())
+    known = quality.counts(docs).select("doc_id", *[quality.vote(*v).alias(k) for k, v in quality.rules().items()]).toPandas().set_index("doc_id").loc[rows["doc_id"]]
+    for name, (good, bad) in made.items():
+        assert (known[name].to_numpy() == np.where(bad, -1, np.where(good, 1, 0))).all(), name
+    v = known.to_numpy()
+    prior, right = 0.7, np.full(v.shape[1], 0.75)
+    for _ in range(quality.ROUNDS):
+        p = 1 / (1 + np.exp(-(np.log(prior / (1 - prior)) + v @ np.log(right / (1 - right)))))
+        hit, voted = 1.5 + (p @ (v > 0)) + ((1 - p) @ (v < 0)), 2.0 + (v != 0).sum(axis=0)
+        prior, right = min(0.99, max(0.01, p.mean())), np.clip(hit / voted, 0.5, 0.99)
+    score = 1 / (1 + np.exp(-(np.log(prior / (1 - prior)) + v @ np.log(right / (1 - right)))))
+    failed = (n < 50) | (100 * repeats > 50 * n)
+    assert np.allclose(score, rows["quality"]) and (rows["base_failed"] == failed).all()
+    assert (rows["kept"] == (~failed & (rows["quality"] >= quality.KEEP_FROM))).all() and 0 < rows["kept"].mean() < 1
+
+
 def test_expectation_maximisation_finds_the_accurate_rules():
     rng = np.random.default_rng(0)
     good = rng.random(4000) < 0.7
