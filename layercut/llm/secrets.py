@@ -216,8 +216,8 @@ def _scanned(docs: DataFrame, rules: list[Rule]) -> DataFrame:
     found = candidates(build_index(source, trigrams), {i: q for i, q in queries.items() if q}, trigrams)
     found = cut_lineage(found.select(F.col("key").alias("scan_found"), F.col("wanted").alias("scan_wanted")))
     text = F.col("text").cast("string")
-    df = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("scan_row"), F.coalesce(text, F.lit("")).alias("scan_text"), F.xxhash64(text).alias("scan_key"))
-    df = df.join(found, F.col("scan_key") == F.col("scan_found"), "left")
+    df = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("scan_row"), F.xxhash64(text).alias("scan_key"))
+    df = df.join(found, F.col("scan_key") == F.col("scan_found"), "left").withColumn("scan_text", F.coalesce(F.col("scan_row")["text"].cast("string"), F.lit("")))
     for i, rule in enumerate(rules):
         df = _spans(df, i, rule, F.lit(True) if queries[i] is None else F.coalesce(F.col("scan_wanted").bitwiseAND(1 << i) != 0, F.lit(False)))
     return df.select("scan_row", F.sort_array(F.concat(*[F.col(f"scan_s{i}") for i in range(len(rules))])).alias("scan_spans"))
