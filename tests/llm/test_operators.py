@@ -438,6 +438,22 @@ def test_repeats_of_a_table(spark):
     assert Counter(got) == Counter(cut_by_hand([tuple(r) for r in docs.collect()]))
 
 
+def test_equal_suffixes_stand_by_place():
+    """Sorted as one number with the place, or by indices where both don't fit 64 bits: the same order, which Kasai's pass needs."""
+    rng = np.random.default_rng(3)
+    at = np.arange(3000, dtype=np.int32)
+    key = rng.integers(0, 40, 3000).astype(np.uint64)
+    packed, head = repeats._in_order(key, at, 12)
+    plain, same = repeats._in_order(key, at, 32)
+    assert (packed == plain).all() and (head == same).all() and head.sum() == 40
+    assert (np.lexsort((at, key)) == packed).all()
+    lens = np.array([30, 30, 30])
+    text = np.tile(np.frombuffer(b"ab" * 15, dtype=np.uint8), 3)
+    order = repeats.suffix_array(text, repeats.places_left(lens))
+    assert (np.diff(order.reshape(30, 3), axis=1) > 0).all()
+    assert repeats.kasai(text, lens, order).reshape(30, 3)[:, 1:].tolist() == [[k, k] for k in repeats.places_left(lens)[order[::3]].tolist()]
+
+
 def test_suffix_arrays_and_prefixes():
     rng = np.random.default_rng(4)
     lens = np.array([1, 60, 300, 60, 2, 7, 90, 80])
