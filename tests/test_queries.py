@@ -28,7 +28,7 @@ def test_query(spark, sf, duck, name):
     assert rows(entry.queries()[name](spark, sf).toPandas()) == rows(duck.sql(entry.oracle_sql()[name]).df())
 
 
-@pytest.mark.parametrize("name", ["avgpool_layer_edges", "break_even_vectors", "conv_layer_edges", "data_source_radix", "expected_random_volume"])
+@pytest.mark.parametrize("name", ["avgpool_layer_edges", "break_even_vectors", "conv_layer_edges", "data_source_radix", "expected_random_volume", "ideal_speedup"])
 def test_query_of_a_table(spark, sf, duck, name):
     """The result comes from the given table: it equals the oracle's there and differs on another table."""
     got = rows(entry.queries()[name](spark, sf).toPandas())
