@@ -36,6 +36,19 @@ def test_query_of_a_table(spark, sf, duck, name):
     assert got != rows(entry.queries()[name](spark, "/root/testdata/sf0.01").toPandas())
 
 
+@pytest.mark.parametrize("name", ["cut_aware_partition"])
+def test_parts_of_hours(spark, duck, name):
+    """The rows placed are the hours of the given events, or the comparison over them is the oracle's."""
+    sf = "/root/testdata/sf0.01"
+    got = entry.queries()[name](spark, sf).toPandas()
+    if name in entry.oracle_sql():
+        assert rows(got) == rows(duck.sql(entry.oracle_sql()[name]).df())
+        return
+    hours = {r[0] for r in duck.sql(f"select distinct epoch(ts)::bigint // 3600 from (select date_trunc('hour', ts) as ts from '{sf}/events.parquet')").fetchall()}
+    assert set(got["neuron"]) == hours and got["part"].between(0, 3).all()
+    assert not got.duplicated([c for c in ("layer", "neuron") if c in got]).any()
+
+
 def test_entry(spark):
     out = entry.entry(spark)
     assert out.count() > 0 and out.columns == ["vec_id", "region", "x", "words_per_vector"]
