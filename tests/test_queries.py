@@ -36,7 +36,7 @@ def test_query_of_a_table(spark, sf, duck, name):
     assert got != rows(entry.queries()[name](spark, "/root/testdata/sf0.01").toPandas())
 
 
-@pytest.mark.parametrize("name", ["cut_aware_partition", "distributed_refinement", "greedy_input_affinity_partition"])
+@pytest.mark.parametrize("name", ["cut_aware_beats_random", "cut_aware_partition", "distributed_refinement", "greedy_input_affinity_partition"])
 def test_parts_of_hours(spark, duck, name):
     """The rows placed are the hours of the given events, or the comparison over them is the oracle's."""
     sf = "/root/testdata/sf0.01"
