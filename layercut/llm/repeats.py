@@ -1,10 +1,11 @@
 """Operator 7: suffix-array removal of repeated byte strings.
 
 A byte goes if a LENGTH-byte string that covers it also starts in a document with a smaller doc_id. Texts equal to one of a smaller id are
-found by their digest. For the rest, every window of LENGTH bytes has a least hash among the grams inside it; equal windows have equal
-least hashes, so windows whose least hash occurs in one document only can't repeat and stay where they are. The others are dealt out
-by that hash: stretches of text with the same least hash meet in one shard, each distinct stretch once for each group of documents.
-Least hashes that more than FINE groups hold are dealt by the hash of each whole window instead, so that a frequent gram in many
+found by their digest. For the rest, every window of LENGTH bytes has a key: the hash of twice GRAM bytes that end or begin with its first
+gram of the least hash, whichever lies inside. Equal windows have equal keys, so windows whose key occurs in one document only
+can't repeat and stay where they are; short grams occur in more and more documents as a table grows, strings twice as long hardly do. The others
+are dealt out by key: stretches of text with the same key meet in one shard, each distinct stretch once for each group of documents.
+Keys that more than FINE groups hold are dealt by the hash of each whole window instead, so that a frequent string in many
 contexts spreads over all shards. Messages between groups and shards are as many as pairs that share a stretch, so at most one a stretch.
 
 A shard keeps one of equal stretches and builds the suffix array of its text by Larsson and Sadakane's refinement (groups of equal prefixes
@@ -33,9 +34,11 @@ from .rolling import span_hashes
 LENGTH, GRAM = 50, 16
 #: Bytes of a group of documents and, about, of a shard; bytes of a part of a shard; window starts hashed at a time.
 GROUP_BYTES, PART_BYTES, STEP = 4 << 20, 3 << 19, 1 << 19
-#: Window starts of a stretch; groups that may hold a least hash before its windows are dealt one by one.
+#: Places of the least gram in a window from which its key ends with the gram; before them it begins with it.
+BEHIND = (LENGTH - GRAM + 1) // 2
+#: Window starts of a stretch; groups that may hold a key before its windows are dealt one by one.
 RUN, FINE = 256, 1024
-#: Groups for each shard of hashes, which take 8 bytes a run of windows: the fewer such shards, the fewer messages.
+#: Groups for each shard of keys, which take 5 bytes a run of windows: the fewer such shards, the fewer messages.
 HASH_GROUPS = 8
 #: Bits of a place that fit 64 beside two ranks.
 PLACE_BITS = 21
@@ -51,7 +54,7 @@ def _stir(x: np.ndarray) -> np.ndarray:
 
 
 def window_runs(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(start, stop, least hash, document) of the runs of window starts with one least hash. ends: where each document of buf ends."""
+    """(start, stop, key, document) of the runs of window starts with one key. ends: where each document of buf ends."""
     found = []
     last = len(buf) - LENGTH + 1
     for a in range(0, max(0, last), STEP):
@@ -61,27 +64,44 @@ def window_runs(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarr
         while step < GRAM:
             h = h[:-step] * base + h[step:]
             base, step = base * base, step * 2
-        m, width = _stir(h), 1
+        # 26 bits of the hash, then how far ahead the gram stands: of equal ones the first is the least
+        m, width = (_stir(h) >> np.uint64(38)).astype(np.uint32) << np.uint32(6), 1
         while width * 2 <= LENGTH - GRAM + 1:
-            m, width = np.minimum(m[:-width], m[width:]), width * 2
+            m, width = np.minimum(m[:-width], m[width:] + np.uint32(width)), width * 2
         if rest := LENGTH - GRAM + 1 - width:
-            m = np.minimum(m[:-rest], m[rest:])
-        new = np.ones(len(m), dtype=bool)
-        new[1:] = m[1:] != m[:-1]
+            m = np.minimum(m[:-rest], m[rest:] + np.uint32(rest))
+        at = (m & np.uint32(63)).astype(np.int32)
+        behind = at >= BEHIND
+        place = np.arange(len(at), dtype=np.int32) + at
+        new = np.ones(len(at), dtype=bool)
+        new[1:] = (place[1:] != place[:-1]) | (behind[1:] != behind[:-1])
         edges = ends[(ends > a) & (ends < b)] - a
         new[edges] = True
         start = np.flatnonzero(new)
-        stop = np.append(start[1:], len(m))
+        place, behind = place[start], behind[start]
+        place = np.where(behind, place - GRAM, place)
+        key = _stir((h[place] * base + h[place + GRAM]) ^ behind)
+        # the least gram of periodic text moves on, its key stays
+        new[start[1:]] = key[1:] != key[:-1]
+        new[edges] = True
+        keep = new[start]
+        start, key = start[keep], key[keep]
+        stop = np.append(start[1:], len(at))
         doc = np.searchsorted(ends, start + a, side="right")
         stop = np.minimum(stop + a, ends[doc] - LENGTH + 1)
         keep = start + a < stop
-        found.append((start[keep] + a, stop[keep], m[start[keep]], doc[keep]))
+        found.append((start[keep] + a, stop[keep], key[keep], doc[keep]))
     if not found:
         none = np.empty(0, dtype=np.int64)
         return none, none, np.empty(0, dtype=np.uint64), none
     return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
 
+def key_names(keys: np.ndarray, shards: int) -> np.ndarray:
+    """The shard of each key and, as the last 32 bits, its name there: enough to tell keys of a shard apart but for a few, which are then dealt in vain."""
+    return ((keys % np.uint64(shards)) << np.uint64(32)) | (keys >> np.uint64(32))
+
+
 def _bytes_ahead(text: np.ndarray, left: np.ndarray, count: int) -> np.ndarray:
     """The next count bytes (at most 8) of each place as one number, zeros past the end of its stretch."""
     n, width = len(text), 1
@@ -233,10 +253,11 @@ class Group:
         return window_runs(self.buf, self.ends)
 
     def stretches(self, hot: np.ndarray, fine: np.ndarray, shards: int):
-        """Distinct stretches of text of the runs with a hot least hash, by shard: {shard: ([bytes], [least owner])}, and each run's place."""
+        """Distinct stretches of text of the runs with a hot key, by shard: {shard: ([bytes], [least owner])}, and each run's place."""
         start, stop, h, doc = self.runs()
-        at = np.searchsorted(hot, h)
-        keep = hot[np.minimum(at, len(hot) - 1)] == h if len(hot) else np.zeros(len(h), dtype=bool)
+        name = key_names(h, spread(shards, HASH_GROUPS))
+        at = np.searchsorted(hot, name)
+        keep = hot[np.minimum(at, len(hot) - 1)] == name if len(hot) else np.zeros(len(h), dtype=bool)
         start, stop, h, doc, single = start[keep], stop[keep], h[keep], doc[keep], fine[at[keep]] if len(hot) else keep[keep]
         pieces = np.where(single, stop - start, -(-(stop - start) // RUN))
         nth = np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)
@@ -266,11 +287,12 @@ def _copies(notes: pd.DataFrame) -> dict[bytes, int]:
 
 
 def _hot(notes: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Hot least hashes in order, and which of them are dealt window by window."""
+    """Names of hot keys in order, and which of them are dealt window by window."""
     rows = notes[notes["kind"] == 1]
     if not len(rows):
         return np.empty(0, dtype=np.uint64), np.empty(0, dtype=bool)
-    hot, fine = (np.concatenate([np.frombuffer(x, dtype=t) for x in rows[c]]) for c, t in (("x", np.uint64), ("y", bool)))
+    hot = np.concatenate([np.frombuffer(x, dtype=np.uint32) | (np.uint64(b) << np.uint64(32)) for b, x in zip(rows["b"].tolist(), rows["x"], strict=True)])
+    fine = np.concatenate([np.frombuffer(y, dtype=bool) for y in rows["y"]])
     order = np.argsort(hot)
     return hot[order], fine[order]
 
@@ -281,22 +303,19 @@ def _frame(rows: list[tuple]) -> pd.DataFrame:
 
 def _hashes(shards: int):
     def run(docs: pd.DataFrame, notes: pd.DataFrame) -> pd.DataFrame:
-        """For each shard the least hashes in this group, and which of them stand in several documents."""
+        """For each shard the keys in this group, and which of them stand in several documents."""
         if not len(docs):
             return _frame([])
         group = Group(docs, _copies(notes))
         _, _, h, doc = group.runs()
-        owner = group.owner[doc] if len(doc) else np.empty(0, dtype=np.int64)
+        h, owner = key_names(h, shards), group.owner[doc] if len(doc) else np.empty(0, dtype=np.int64)
         order = np.argsort(h, kind="stable")
         h, owner = h[order], owner[order]
         head = np.flatnonzero(np.append(True, h[1:] != h[:-1])) if len(h) else np.empty(0, dtype=np.int64)
         if not len(head):
             return _frame([])
         several = np.minimum.reduceat(owner, head) != np.maximum.reduceat(owner, head)
-        h = h[head]
-        shard = (h % np.uint64(shards)).astype(np.int64)
-        order = np.argsort(shard, kind="stable")
-        h, several, shard = h[order], several[order], shard[order]
+        shard, h = (h[head] >> np.uint64(32)).astype(np.int64), h[head].astype(np.uint32)  # names lie by shard
         cuts = np.flatnonzero(np.append(True, shard[1:] != shard[:-1]))
         p = int(docs["p"].iloc[0])
         return _frame([(p, 1, int(shard[a]), h[a:b].tobytes(), several[a:b].tobytes(), None) for a, b in zip(cuts, np.append(cuts[1:], len(h)), strict=True)])
@@ -306,15 +325,15 @@ def _hashes(shards: int):
 
 def _find_hot(limit: int):
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        """For each group its hot least hashes of this shard: those of several groups or documents."""
-        each = [np.frombuffer(x, dtype=np.uint64) for x in rows["x"]]
+        """For each group its hot keys of this shard: those of several groups or documents."""
+        each = [np.frombuffer(x, dtype=np.uint32) for x in rows["x"]]
         several = np.concatenate([np.frombuffer(y, dtype=bool) for y in rows["y"]])
         group = np.repeat(np.arange(len(each)), [len(x) for x in each])
         _, of, count = np.unique(np.concatenate(each), return_inverse=True, return_counts=True)
         hot = ((count > 1) | (np.bincount(of, weights=several) > 0))[of]
         h, group, fine = np.concatenate(each)[hot], group[hot], (count > limit)[of][hot]  # still in the order of groups
         cuts = np.searchsorted(group, np.arange(len(each) + 1))
-        return _frame([(p, 1, 0, h[a:b].tobytes(), fine[a:b].tobytes(), None) for p, a, b in zip(rows["p"].tolist(), cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if b > a])
+        return _frame([(p, 1, b, h[a:z].tobytes(), fine[a:z].tobytes(), None) for p, b, a, z in zip(rows["p"].tolist(), rows["b"].tolist(), cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if z > a])
 
     return run
 

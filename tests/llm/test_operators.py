@@ -438,6 +438,28 @@ def test_repeats_of_a_table(spark):
     assert Counter(got) == Counter(cut_by_hand([tuple(r) for r in docs.collect()]))
 
 
+def test_short_grams_in_common_are_not_dealt():
+    """Equal windows have equal keys wherever they stand; texts that share grams but no string twice as long have no key in common."""
+    rng = np.random.default_rng(5)
+    grams = ["".join(rng.choice(list("abcdefghij "), 22)) for _ in range(100)]
+    texts = ["".join(np.array(grams)[rng.permutation(100)[:12]]).encode() for _ in range(40)]
+    passage = bytes(rng.integers(97, 123, 120, dtype=np.uint8))
+    texts += [b"x" * k + passage + b"yz" * k for k in range(1, 41)] + [b"=" * 400, b"again and " * 40, b"." + b"again and " * 40]
+    ends = np.cumsum([len(t) for t in texts])
+    buf = b"".join(texts)
+    start, stop, key, doc = repeats.window_runs(np.frombuffer(buf, dtype=np.uint8), ends)
+    by, named = {}, {}
+    for s, e, k, d in zip(start.tolist(), stop.tolist(), key.tolist(), doc.tolist(), strict=True):
+        for i in range(s, e):
+            by.setdefault(buf[i : i + 50], set()).add(k)
+            named.setdefault(k, []).append((d, buf[i : i + 50]))
+    assert all(len(k) == 1 for k in by.values()) and sum(map(len, named.values())) == sum(len(t) - 49 for t in texts)
+    whole = [w for w, n in Counter((w for d, w in {x for rows in named.values() for x in rows if x[0] < 40})).items() if n == 1]
+    dealt = [d for rows in named.values() if len({d for d, _ in rows}) > 1 for d, _ in rows if d < 40]
+    assert len(whole) > 7000 and len(dealt) < 0.2 * len(whole)  # by grams alone over a third
+    assert sum(d == 80 for d in doc) <= 2 and sum(d >= 81 for d in doc) <= 8  # periodic text: few runs
+
+
 def test_equal_suffixes_stand_by_place():
     """Sorted as one number with the place, or by indices where both don't fit 64 bits: the same order, which Kasai's pass needs."""
     rng = np.random.default_rng(3)
